@@ -14,7 +14,6 @@ import base64
 import hashlib
 import re
 import struct
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -22,10 +21,10 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, slices
+from .common import documents, short_batches, slices, worker_table
 
 #: Entries of a worker's piece table and pair table before they start anew; bounds memory, not results.
-MAX_PIECES, MAX_PAIRS = 300_000, 600_000
+MAX_PIECES, MAX_PAIRS = 200_000, 300_000
 #: White space as the rank file's library reads \s (the Unicode property); Python's own \s also has \x1c-\x1f.
 SPACE = r"\t-\r \x85\xa0  -     　"
 
@@ -246,9 +245,13 @@ class PrefixTable:
         return self.bpe.ids_of(self.data, self.last)
 
 
-@lru_cache(maxsize=4)
 def loaded(path: str, pattern: str) -> PrefixBPE:
-    return PrefixBPE.load(path, pattern)
+    """This worker's encoder, kept between tasks."""
+    table = worker_table("bpe")
+    if (path, pattern) not in table:
+        table.clear()
+        table[path, pattern] = PrefixBPE.load(path, pattern)
+    return table[path, pattern]
 
 
 def encode(docs: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", keep_ids: bool = True) -> DataFrame:
@@ -260,6 +263,8 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id
     kind = source.schema["doc_id"].dataType.simpleString()
     schema = f"doc_id {kind}, n_tokens bigint, {'ids binary, ' if keep_ids else ''}ids_sha256 string, decoded_sha256 string"
 
+    short_batches(docs.sparkSession)
+
     def run(batches):
         bpe = loaded(ranks_path, pattern)
         for b in slices(batches):

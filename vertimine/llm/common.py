@@ -6,6 +6,7 @@ import atexit
 import uuid
 from collections.abc import Iterable
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -103,8 +104,31 @@ def without(docs: DataFrame, gone: DataFrame, n_gone: int, id_col: str = "doc_id
     return packed.join(checked(gone, n_gone, 48), ["_id", "_text"], "left_anti").select("row.*")
 
 
-def slices(batches: Iterable, rows: int = 2000):
-    """Arrow batches cut into small ones, so that very long texts never meet in one step."""
+#: Rows of an Arrow batch: texts can be long, and a batch stands in memory twice, in the JVM and in Python.
+BATCH_ROWS = 1000
+
+
+def short_batches(spark: SparkSession) -> None:
+    """Lower the session's Arrow batch size to BATCH_ROWS (a setting that may change at any time); never raises it."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name, "10000")) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
+#: Tables that a Python worker keeps between tasks, by operator. Only the operator at work has any.
+_tables: dict[str, dict] = {}
+
+
+def worker_table(operator: str) -> dict:
+    if operator not in _tables:
+        _tables.clear()
+        _tables[operator] = {}
+    return _tables[operator]
+
+
+def slices(batches: Iterable, rows: int = 1000):
+    """Arrow batches cut into small ones; Arrow's spare memory goes back at the end."""
     for b in batches:
         for at in range(0, b.num_rows, rows):
             yield b.slice(at, rows)
+    pa.default_memory_pool().release_unused()

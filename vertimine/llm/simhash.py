@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import checked, documents, keys_of, materialise, salted_join, slices, without
+from .common import checked, documents, keys_of, materialise, salted_join, short_batches, slices, without
 
 BLOCKS, FAN, CHUNK = 4, 8, 100_000
 #: Dealt fingerprints a task takes in the Hamming join (24 bytes each).
@@ -53,6 +53,7 @@ def fingerprint(text: str | None, shingle: int = 3, seed: int = 42) -> int:
 def fingerprints(docs: DataFrame, shingle: int = 3, id_col: str = "doc_id", text_col: str = "text", more: list | None = None) -> DataFrame:
     """doc_id, fp (the 64 bits as a signed long), and `more` columns unchanged."""
     source = docs.select(F.col(text_col).alias("_whole_text"), F.col(id_col).alias("doc_id"), *(more or []))
+    short_batches(docs.sparkSession)
     schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in source.schema[1:]) + ", fp bigint"
 
     def run(batches):

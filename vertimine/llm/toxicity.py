@@ -21,25 +21,24 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, slices
+from .common import documents, short_batches, slices, worker_table
 
 WORD = re.compile(r"[^\W_]+")
-MAX_WORDS = 300_000  # of a worker's table of word hashes, before it starts anew
-_hashes: dict[str, int] = {}
+MAX_WORDS = 200_000  # of a worker's table of word hashes, before it starts anew
 
 
 def word_hashes(text: str) -> np.ndarray:
     """Per word a hash of it in the lower 32 bits, of its start in the upper ones."""
-    words = WORD.findall(text.lower())
+    words, known = WORD.findall(text.lower()), worker_table("toxicity")
     try:
-        return np.fromiter(map(_hashes.__getitem__, words), np.uint64, len(words))
+        return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
     except KeyError:
-        if len(_hashes) >= MAX_WORDS:
-            _hashes.clear()
+        if len(known) >= MAX_WORDS:
+            known.clear()
         for w in set(words):
-            if w not in _hashes:
-                _hashes[w] = zlib.crc32(w.encode("utf-8", "surrogatepass")) | zlib.crc32(b"^" + w[:4].encode("utf-8", "surrogatepass")) << 32
-    return np.fromiter(map(_hashes.__getitem__, words), np.uint64, len(words))
+            if w not in known:
+                known[w] = zlib.crc32(w.encode("utf-8", "surrogatepass")) | zlib.crc32(b"^" + w[:4].encode("utf-8", "surrogatepass")) << 32
+    return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
 
 
 def spread(x: np.ndarray, bits: int) -> np.ndarray:
@@ -132,6 +131,7 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", id_col: str
     first = [marked.where(F.col("_label") == k).orderBy(F.xxhash64("_id"), "_id").limit(taken[k]) for k in (0, 1)]
     sample = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(text_col), F.lit("")).alias("_text")).join(F.broadcast(first[0].unionAll(first[1])), "_id")
     bits = ftrl.bits
+    short_batches(docs.sparkSession)
 
     def run(batches):
         for b in slices(batches, 500):
@@ -148,6 +148,7 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", id_col: str
 
 def with_scores(docs: DataFrame, model: Model, text_col: str, keep: list[Column], schema: str, below: float | None = None) -> DataFrame:
     """`keep` columns and the score; with `below`, only rows that score less (then `keep` goes out without the score)."""
+    short_batches(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
