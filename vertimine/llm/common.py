@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
+import gc
 import uuid
 from collections.abc import Iterable
 
@@ -121,7 +124,11 @@ _tables: dict[str, dict] = {}
 
 def worker_table(operator: str) -> dict:
     if operator not in _tables:
-        _tables.clear()
+        if _tables:
+            _tables.clear()
+            gc.collect()
+            with contextlib.suppress(OSError, AttributeError):  # give freed memory back where the C library can
+                ctypes.CDLL(None).malloc_trim(0)
         _tables[operator] = {}
     return _tables[operator]
 

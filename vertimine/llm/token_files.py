@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import os
 import re
+import struct
 import zlib
 
 import numpy as np
@@ -27,9 +28,12 @@ from .common import documents, materialise, short_batches, slices, worker_table
 
 MAX_PIECES = 200_000
 #: Rows of a part and ids of a block, about.
-PART_ROWS, BLOCK_ROWS = 50_000, 1000
+PART_ROWS, BLOCK_ROWS = 50_000, 500
 LENGTHS = (np.arange(256)[:, None] >> np.array([0, 2, 4, 6]) & 3).astype(np.uint8) + 1
 PLACES = np.arange(4, dtype=np.uint8)
+#: Fixed values of byte-level tokenizers: printable Latin-1 bytes stand for themselves, the others for U+0100 on.
+_PLAIN = [*range(33, 127), *range(161, 173), *range(174, 256)]
+BYTE_LETTERS = {b: chr(256 + n) for n, b in enumerate(b for b in range(256) if b not in _PLAIN)}
 
 
 def pack(values: np.ndarray) -> tuple[bytes, bytes]:
@@ -52,8 +56,9 @@ def unpack(control: bytes, data: bytes, n: int) -> np.ndarray:
 class PieceTokenizer:
     """A tokenizer of the tokenizers library with a table of pieces.
 
-    Texts of plain Latin letters are split as the tokenizer's own pattern does and their pieces, each encoded by the library,
-    are looked up; all other texts go through the library whole. Only for tokenizers whose pieces do not depend on each other.
+    Texts of plain Latin letters are cut at white space and looked up word by word. A word not in the table is split as the
+    tokenizer's own pattern does; pieces not in the table are encoded by the library. All other texts go through the library
+    whole. Only for tokenizers that drop white space and whose pieces do not depend on each other.
     """
 
     #: The pieces of word_bpe_49k.json after its lower-casing, for characters below U+0250.
@@ -65,41 +70,45 @@ class PieceTokenizer:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        self.model = self.tokenizer.model
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.pieces: dict[str, bytes] = {}
 
     def _encode(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _encode_pieces(self, pieces: list[str]) -> list[bytes]:
-        """Pieces encoded as the words of one text, which costs less than a text each."""
-        e = self.tokenizer.encode(" ".join(pieces), add_special_tokens=False)
-        cut = (np.flatnonzero(np.diff(np.array(e.word_ids, np.int64))) + 1).tolist()
-        if len(cut) != len(pieces) - 1:
-            return self._encode(pieces)
-        ids = np.array(e.ids, "<u4").tobytes()
-        return [ids[4 * a : 4 * b] for a, b in zip([0, *cut], [*cut, len(ids) // 4], strict=True)]
+    def _encode_piece(self, piece: str) -> bytes:
+        """A piece needs no normalising or splitting any more: the library's model gets its bytes in the byte-level alphabet."""
+        written = piece if piece.isascii() else piece.encode().decode("latin-1").translate(BYTE_LETTERS)
+        ids = [t.id for t in self.model.tokenize(written)]
+        return struct.pack(f"<{len(ids)}I", *ids)
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
         if len(self.pieces) >= MAX_PIECES:
             self.pieces.clear()
-        known, split = self.pieces, {}
+        known = self.pieces
         out: list[bytes] = [b""] * len(texts)
         for i, t in enumerate(texts):
-            if t:
-                if self.ODD.search(t) or any(s in t for s in self.special):
-                    out[i] = self._encode([t])[0]
-                else:
-                    split[i] = self.PIECE.findall(t.lower())
-        for i, pieces in split.items():
+            if not t:
+                continue
+            if self.ODD.search(t) or any(s in t for s in self.special):
+                out[i] = self._encode([t])[0]
+                continue
+            split = t.lower().split()
             try:
-                out[i] = b"".join(map(known.__getitem__, pieces))
+                out[i] = b"".join(map(known.__getitem__, split))
+                continue
             except KeyError:
-                new = [p for p in set(pieces) if p not in known]
-                for at in range(0, len(new), 500):
-                    known.update(zip(new[at : at + 500], self._encode_pieces(new[at : at + 500]), strict=True))
-                out[i] = b"".join(map(known.__getitem__, pieces))
+                missing = set(split).difference(known)
+            mixed = {w: self.PIECE.findall(w) for w in missing if not w.isalpha()}
+            new = [w for w in missing if w not in mixed]
+            new += {p for ps in mixed.values() for p in ps}.difference(known, new)
+            for p in new:
+                known[p] = self._encode_piece(p)
+            for w, ps in mixed.items():
+                known[w] = b"".join(map(known.__getitem__, ps))
+            out[i] = b"".join(map(known.__getitem__, split))
         return out
 
 
@@ -164,6 +173,7 @@ class TokenFiles:
         rows = tokens.repartitionByRange(parts, "doc_id", "h").sortWithinPartitions("doc_id", "h", "ids").withColumn("part", F.spark_partition_id())
 
         def run(batches):
+            worker_table("token_blocks")  # lets the tokenizer go
             before, number = 0, 0
             for b in slices(batches, BLOCK_ROWS):
                 if not b.num_rows:
@@ -191,6 +201,7 @@ class TokenFiles:
         kind = self.blocks.schema["doc_ids"].dataType.elementType.simpleString()
 
         def run(batches):
+            worker_table("token_blocks")
             for b in batches:
                 for at in range(b.num_rows):
                     row = {k: b.column(i)[at] for i, k in enumerate(b.schema.names)}
