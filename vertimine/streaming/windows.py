@@ -19,7 +19,8 @@ LATE = "1 hour"
 def source(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a stream of files."""
     path = f"{sf_dir}/events.parquet"
-    return spark.readStream.schema(spark.read.parquet(path).schema).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
+    events = spark.readStream.schema(spark.read.parquet(path).schema).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
+    return events.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need instants
 
 
 def shared(spark: SparkSession, name: str) -> str:
@@ -46,23 +47,23 @@ def run_available(stream: DataFrame, name: str, mode: str = "append", each: Call
 def tumbling(events: DataFrame, width: str = "1 day") -> DataFrame:
     """One basket per user and window: (user_id, start, items)."""
     at = events.withWatermark("ts", LATE).groupBy("user_id", F.window("ts", width))
-    return at.agg(F.array_sort(F.collect_set("event_type")).alias("items")).select("user_id", F.col("window.start").alias("start"), F.array_join("items", "|").alias("items"))
+    return at.agg(F.array_sort(F.collect_set("event_type")).alias("items")).select("user_id", F.col("window.start").cast("timestamp_ntz").alias("start"), F.array_join("items", "|").alias("items"))
 
 
 def sliding(events: DataFrame, width: str = "2 days", step: str = "1 day") -> DataFrame:
     at = events.withWatermark("ts", LATE).groupBy("event_type", F.window("ts", width, step))
-    return at.agg(F.count(F.lit(1)).alias("n")).select("event_type", F.col("window.start").alias("start"), "n")
+    return at.agg(F.count(F.lit(1)).alias("n")).select("event_type", F.col("window.start").cast("timestamp_ntz").alias("start"), "n")
 
 
 def session(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
     at = events.withWatermark("ts", LATE).groupBy("user_id", F.session_window("ts", gap))
-    return at.agg(F.count(F.lit(1)).alias("n"), F.array_join(F.array_sort(F.collect_set("event_type")), "|").alias("items")).select("user_id", F.col("session_window.start").alias("start"), "n", "items")
+    return at.agg(F.count(F.lit(1)).alias("n"), F.array_join(F.array_sort(F.collect_set("event_type")), "|").alias("items")).select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "n", "items")
 
 
 def deduplicated(events: DataFrame) -> DataFrame:
     """First event of each user, type and hour."""
     hour = events.withColumn("hour", F.date_trunc("hour", "ts")).withWatermark("hour", LATE)
-    return hour.dropDuplicates(["user_id", "event_type", "hour"]).select("user_id", "event_type", "hour")
+    return hour.dropDuplicates(["user_id", "event_type", "hour"]).select("user_id", "event_type", F.col("hour").cast("timestamp_ntz").alias("hour"))
 
 
 def pair_counts(events: DataFrame, width: str = "1 day") -> DataFrame:
