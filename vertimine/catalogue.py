@@ -252,4 +252,46 @@ add(
     f"{q.itemsets('order_brands', '0.02')} SELECT {q.TEXT} AS itemset, support FROM f WHERE k = 2",
 )
 
+for _view in ("order_brands", "turn_words", "customer_brands"):
+    _at = AT[_view]
+    add(
+        f"item_vertical_{_view}",
+        lambda s, d, v=_view: items.vertical_counts((tx := b.VIEWS[v](s, d)).rows, least(tx, AT[v])).select("item", "support", F.array_min("tids").alias("first"), F.array_max("tids").alias("last"), F.aggregate("tids", F.lit(0).cast("bigint"), lambda a, x: a + x).alias("total")),
+        f"WITH {q.head(_view, _at)} SELECT item, support, list_min(tids) AS first, list_max(tids) AS last, CAST(list_sum(tids) AS BIGINT) AS total FROM s",
+    )
+    add(
+        f"intersections_{_view}",
+        lambda s, d, v=_view: measures.intersections(tx := b.VIEWS[v](s, d), least(tx, AT[v])),
+        f"{q.pairs(_view, _at)}, m AS (SELECT count(*) AS n FROM s), k AS (SELECT count(*) AS p FROM p) SELECT n * (n - 1) // 2 AS all_pairs, p AS with_matrix, n * (n - 1) // 2 - p AS avoided FROM m, k",
+    )
+    add(
+        f"candidates_per_level_{_view}",
+        lambda s, d, v=_view: measures.candidates(_sets(v, AT[v])(s, d)).select(F.col("k").cast("int").alias("k"), "classes", "candidates"),
+        f"{q.itemsets(_view, _at)}, h AS (SELECT k, items[1:k-1] AS head, count(*) AS m FROM f GROUP BY 1, 2) SELECT k, count(*) AS classes, CAST(sum(m * (m - 1) // 2) AS BIGINT) AS candidates FROM h GROUP BY k",
+    )
+
+
+def _built(matrix: bool):
+    """Classes from tid lists: prefix, member and support, with the pair matrix or without."""
+
+    def run(s, d):
+        _, prep = prepared(s, d, "order_brands", "0.02")
+        found = pairs.count_sparse(prep.encoded, prep.min_count) if matrix else None
+        made = classes.build(vertical.by_map(prep.encoded).persist(), prep.min_count, prep.n_items, found)
+        return made.select(F.col("prefix")[0].alias("i"), F.col("member").alias("j"), F.size("tids").cast("bigint").alias("support"))
+
+    return run
+
+
+def _projected(s, d):
+    _, prep = prepared(s, d, "order_brands", "0.02")
+    found = pairs.count_sparse(prep.encoded, prep.min_count)
+    rows = classes.project(prep.encoded, found, found.count()).select(F.col("prefix")[0].alias("i"), F.explode("suffix").alias("j"))
+    return rows.groupBy("i", "j").agg(F.count(F.lit(1)).alias("support"))
+
+
+add("class_build_matrix", _built(True), f"{q.pairs('order_brands', '0.02')} SELECT i, j, support FROM p")
+add("class_build_no_matrix", _built(False), f"{q.pairs('order_brands', '0.02')} SELECT i, j, support FROM p")
+add("class_project", _projected, f"{q.pairs('order_brands', '0.02')} SELECT i, j, support FROM p")
+
 from vertimine import catalogue_ops  # noqa: E402, F401  registers the operator queries

@@ -203,6 +203,29 @@ def _udtf(s, d):
 add("op_udtf_mine", _udtf, q.frequent("user_day_types", "0.05"))
 
 
+def _udtf_classes(s, d):
+    """Classes by SQL: every item with the later items of its transactions; each class mined by the table function."""
+    fn.register(s)
+    rows = b.user_day_types(s, d).rows
+    rows.alias("a").join(rows.alias("b"), (F.col("a.tid") == F.col("b.tid")) & (F.col("a.item") < F.col("b.item"))).select(F.col("a.item").alias("prefix"), F.col("b.item").alias("member"), F.col("a.tid").alias("tid")).createOrReplaceTempView("class_rows")
+    least = c.least(b.user_day_types(s, d), "0.05")
+    return s.sql(f"SELECT itemset, k, support FROM mine_class(least => {least}, row => TABLE(SELECT prefix, member, tid FROM class_rows) PARTITION BY prefix)")
+
+
+add("op_udtf_classes", _udtf_classes, f"{q.frequent('user_day_types', '0.05')} WHERE k > 1")
+
+
+def _tidset_and(s, d):
+    """Support of pairs by the bitwise and of bitmaps, bucket by bucket."""
+    rows = b.user_day_types(s, d).rows
+    maps = rows.groupBy("item", F.bitmap_bucket_number("tid").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("tid")).alias("m"))
+    two = maps.alias("a").join(maps.alias("b"), (F.col("a.bucket") == F.col("b.bucket")) & (F.col("a.item") < F.col("b.item")))
+    return two.groupBy(F.col("a.item").alias("i"), F.col("b.item").alias("j")).agg(F.sum(F.bitmap_count(fn.tidset_and(F.col("a.m"), F.col("b.m")))).alias("support"))
+
+
+add("op_udf_tidset_and", _tidset_and, c.SQL["op_theta_self"])
+
+
 def _segments(s, d):
     """Per market segment: itemsets frequent against the segment's own number of customers."""
     segment = table(s, d, "customer").select(F.col("c_custkey").alias("tid"), "c_mktsegment")
@@ -251,6 +274,26 @@ add(
 )
 
 
+def _stream_late(s, d):
+    """Events in four files by time, the second file coming last: rows older than the watermark are dropped, all others counted."""
+    path = st.shared(s, "late-input")
+    events = table(s, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
+    quarter = F.ntile(4).over(W.orderBy("ts", "event_id"))
+    events = events.withColumn("quarter", quarter).persist()
+    for n, part in enumerate((1, 3, 4, 2)):
+        events.where(F.col("quarter") == part).drop("quarter").coalesce(1).write.mode("overwrite").parquet(f"{path}/in{n}")
+    stream = s.readStream.schema("event_id bigint, ts timestamp, user_id bigint, event_type string").option("maxFilesPerTrigger", 1).parquet(f"{path}/in*")
+    return st.run_available(st.sliding(stream, "1 day", "1 day"), "late")
+
+
+add(
+    "stream_late",
+    _stream_late,
+    f"""WITH e AS (SELECT *, ntile(4) OVER (ORDER BY ts, event_id) AS q FROM events), k AS (SELECT * FROM e WHERE q <> 2)
+SELECT event_type, time_bucket(INTERVAL 1 DAY, ts) AS start, count(*) AS n FROM k WHERE time_bucket(INTERVAL 1 DAY, ts) + INTERVAL 1 DAY <= {_open} GROUP BY 1, 2""",
+)
+
+
 def _stream_mine(s, d):
     path = st.shared(s, "mined")
     st_query = st.tumbling(st.source(s, d)).writeStream.outputMode("append").trigger(availableNow=True).option("checkpointLocation", f"{path}/state")
@@ -263,6 +306,14 @@ add(
     _stream_mine,
     q.frequent("user_day_types", min_count=20, source=f"SELECT DISTINCT user_id || ' ' || start AS tid, event_type AS item FROM ({_days}) WHERE start + INTERVAL 1 DAY <= {_open}"),
 )
+
+
+def _stream_state(s, d):
+    """Arbitrary state per user, drained once; the last update of each user and type counts."""
+    out = st.run_available(st.decayed_counts(st.source(s, d)), "decayed", "update")
+    return out.select("user_id", "event_type", F.round("weight", 6).alias("weight"))
+
+
 def _decayed_batch(s, d):
     """The decayed counts by plain aggregation: each event weighs 0.5 ** (days to the user's last event of the type / 7)."""
     e = table(s, d, "events").select("user_id", "event_type", (F.unix_micros(F.col("ts").cast("timestamp")) / 86_400_000_000).alias("day"))
@@ -270,4 +321,6 @@ def _decayed_batch(s, d):
     return e.withColumn("last", last).groupBy("user_id", "event_type").agg(F.round(F.sum(F.pow(F.lit(0.5), (F.col("last") - F.col("day")) / 7)), 6).alias("weight"))
 
 
-add("op_decayed_counts", _decayed_batch, "SELECT user_id, event_type, round(sum(power(0.5, (l - t) / 7)), 6) AS weight FROM (SELECT user_id, event_type, epoch_us(ts) / 86400000000 AS t, max(epoch_us(ts) / 86400000000) OVER (PARTITION BY user_id, event_type) AS l FROM events) GROUP BY 1, 2")
+_decayed_sql = "SELECT user_id, event_type, round(sum(power(0.5, (l - t) / 7)), 6) AS weight FROM (SELECT user_id, event_type, epoch_us(ts) / 86400000000 AS t, max(epoch_us(ts) / 86400000000) OVER (PARTITION BY user_id, event_type) AS l FROM events) GROUP BY 1, 2"
+add("op_decayed_counts", _decayed_batch, _decayed_sql)
+add("stream_state", _stream_state, _decayed_sql)

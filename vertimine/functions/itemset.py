@@ -61,11 +61,31 @@ class FrequentItemsets:
             yield "|".join(found), len(found), n
 
 
+@F.udtf(returnType=T.StructType([T.StructField("itemset", T.StringType()), T.StructField("k", T.IntegerType()), T.StructField("support", T.LongType())]), useArrow=False)
+class MineClass:
+    """mine_class(TABLE(prefix, member, tid) PARTITION BY prefix, least): itemsets of one class, the prefix being one item."""
+
+    def __init__(self):
+        self.prefix, self.tids, self.rows, self.least = None, {}, {}, 1
+
+    def eval(self, row, least: int):
+        self.prefix, self.least = row["prefix"], least
+        t = self.tids.setdefault(row["tid"], len(self.tids))
+        self.rows.setdefault(row["member"], set()).add(t)
+
+    def terminate(self):
+        names = sorted(self.rows)
+        for items, n in mine_class([(r, sum(1 << t for t in self.rows[x])) for r, x in enumerate(names)], self.least):
+            found = sorted([self.prefix, *(names[r] for r in items)])
+            yield "|".join(found), len(found), n
+
+
 def register(spark: SparkSession) -> None:
     """Make the functions known to SQL."""
     spark.udtf.register("frequent_itemsets", FrequentItemsets)
+    spark.udtf.register("mine_class", MineClass)
     spark.udf.register("tidset_and", tidset_and)
     spark.udf.register("tidset_count", tidset_count)
 
 
-__all__ = ["FrequentItemsets", "bitmaps", "contains_all", "register", "strip_udf", "tidset_and", "tidset_count"]
+__all__ = ["FrequentItemsets", "MineClass", "bitmaps", "contains_all", "register", "strip_udf", "tidset_and", "tidset_count"]

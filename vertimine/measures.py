@@ -53,13 +53,32 @@ def by_length(itemsets: DataFrame) -> DataFrame:
     return itemsets.groupBy("k").agg(F.count(F.lit(1)).alias("n"))
 
 
-def support_of(rows: DataFrame, wanted: DataFrame) -> DataFrame:
-    """Support of given itemsets (items) by one scan: an occurrence join on items, then a count of complete meetings."""
-    asked = wanted.select("items", F.explode("items").alias("item"), F.size("items").alias("k"))
-    met = rows.join(F.broadcast(asked), "item").groupBy("tid", "items", "k").agg(F.count(F.lit(1)).alias("n")).where("n = k")
+def support_of(rows: DataFrame, wanted: DataFrame, most_broadcast: int = 200_000) -> DataFrame:
+    """Support of given itemsets (items) by one scan: an occurrence join on items, then a count of complete meetings.
+
+    The itemsets are broadcast if there are at most most_broadcast of their items, else joined by shuffle."""
+    asked = wanted.select("items", F.explode("items").alias("item"), F.size("items").alias("k")).persist()
+    side = F.broadcast(asked) if asked.count() <= most_broadcast else asked
+    met = rows.join(side, "item").groupBy("tid", "items", "k").agg(F.count(F.lit(1)).alias("n")).where("n = k")
     return met.groupBy("items").agg(F.count(F.lit(1)).alias("support"))
 
 
+def intersections(tx: Transactions, min_count: int) -> DataFrame:
+    """all_pairs, with_matrix, avoided: tidset intersections that building 1-prefix classes needs without and with the pair matrix."""
+    from vertimine.operators import encode, pairs
+
+    ranked = items.rank(items.counts(tx.rows, min_count)).persist()
+    n = ranked.count()
+    kept = pairs.count_sparse(encode.strip(tx.rows, ranked, n), min_count).agg(F.count(F.lit(1)).alias("with_matrix"))
+    return kept.select(F.lit(pairs.cells(n)).cast("bigint").alias("all_pairs"), "with_matrix", (F.lit(pairs.cells(n)) - F.col("with_matrix")).cast("bigint").alias("avoided"))
+
+
+def candidates(itemsets: DataFrame) -> DataFrame:
+    """k, classes, candidates: pairs of k-itemsets that share all but the last item, i.e. candidates of length k + 1."""
+    heads = itemsets.groupBy("k", F.slice("items", F.lit(1), F.col("k") - 1).alias("head")).agg(F.count(F.lit(1)).alias("m"))
+    return heads.groupBy("k").agg(F.count(F.lit(1)).alias("classes"), F.sum((F.col("m") * (F.col("m") - 1) / 2).cast("bigint")).alias("candidates"))
+
+
 def timed(run: Callable[[], object]) -> float:
     began = time.perf_counter()
     run()

@@ -74,7 +74,8 @@ def pair_counts(tx: Transactions, prep: Prepared, config: MiningConfig) -> DataF
         return pairs.count_sparse(prep.encoded, prep.min_count)
     raw = pairs.count_sparse(encode.full(tx.rows), prep.min_count, "items")
     rank = prep.frequent.select("item", "rank")
-    named = raw.join(F.broadcast(rank.select(F.col("item").alias("i"), F.col("rank").alias("a"))), "i").join(F.broadcast(rank.select(F.col("item").alias("j"), F.col("rank").alias("b"))), "j")
+    left, right = (encode.dictionary(rank, prep.n_items).toDF(item, place) for item, place in (("i", "a"), ("j", "b")))
+    named = raw.join(left, "i").join(right, "j")
     return named.select(F.least("a", "b").alias("i"), F.greatest("a", "b").alias("j"), "support")
 
 

@@ -90,26 +90,20 @@ def mine_windows(min_count: int, path: str) -> Callable[[DataFrame, int], None]:
 
 
 def decayed_counts(events: DataFrame, half_life_days: float = 7.0) -> DataFrame:
-    """Per user and type a count that halves every half_life_days: arbitrary state kept per user."""
-    from pyspark.sql.streaming import StatefulProcessor
-
-    class Decay(StatefulProcessor):
-        def init(self, handle) -> None:
-            self.state = handle.getValueState("counts", "packed string")
-
-        def handleInputRows(self, key, rows, timerValues):  # noqa: N802, N803
-            import json
-
-            known = json.loads(self.state.get()[0]) if self.state.exists() else {}
-            frame = pd.concat(list(rows)).sort_values("ts")
-            for ts, kind in zip(frame["ts"], frame["event_type"]):
-                day = ts.timestamp() / 86400
-                n, at = known.get(kind, (0.0, day))
-                known[kind] = (n * 0.5 ** ((day - at) / half_life_days) + 1, day)
-            self.state.update((json.dumps(known),))
-            yield pd.DataFrame({"user_id": [key[0]] * len(known), "event_type": list(known), "weight": [n for n, _ in known.values()]})
-
-        def close(self) -> None:
-            pass
-
-    return events.groupBy("user_id").transformWithStateInPandas(Decay(), "user_id bigint, event_type string, weight double", "Update", "None")
+    """Per user and type a count that halves every half_life_days, as of the user's last event of the type: state kept per user."""
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    def update(key: tuple, frames, state):
+        kinds, weights, days = state.get if state.exists else ([], [], [])
+        known = {k: (w, d) for k, w, d in zip(kinds, weights, days)}
+        rows = pd.concat(list(frames)).sort_values("ts")
+        since = (rows["ts"] - pd.Timestamp("1970-01-01")).dt.total_seconds() / 86_400
+        for day, kind in zip(since, rows["event_type"]):
+            weight, at = known.get(kind, (0.0, day))
+            known[kind] = (weight * 0.5 ** ((day - at) / half_life_days) + 1, day)
+        state.update((list(known), [w for w, _ in known.values()], [d for _, d in known.values()]))
+        yield pd.DataFrame({"user_id": [key[0]] * len(known), "event_type": list(known), "weight": [w for w, _ in known.values()]})
+
+    return events.groupBy("user_id").applyInPandasWithState(
+        update, "user_id bigint, event_type string, weight double", "kinds array<string>, weights array<double>, days array<double>", "update", GroupStateTimeout.NoTimeout
+    )
