@@ -3,8 +3,8 @@
 Each row of a source should be taken target / source_size times: a whole number of copies plus a fraction. Fractions are made
 whole by pairing rows: in a pair, mass (words) moves at random from one row to the other until one of the two is whole,
 with odds that keep every row's expected copies; the words taken in sum do not change. Rows are paired in buckets of a
-few hundred rows; the one row of each source that a bucket leaves fractional goes up to the next level, where the residuals of
-FAN buckets are paired again, and so on to the tree's root. There one row of each source is left, often a long one, and is
+few hundred rows; the one row of each source that a bucket leaves fractional goes up to the next level of that source's tree,
+where the residuals of FAN buckets are paired again, and so on to the root. There one row of each source is left, often a long one, and is
 rounded to the nearer whole number. What that misses by is spread over a reserve: some rows of middle size that each source
 keeps fractional up to the root, where they take the difference up before they are paired in their turn. So a source misses its
 target by about half the size of one such row, if the reserve is large enough, and by half of its longest row at most.
@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import checked, documents, keys_of, materialise, without
+from .common import checked, documents, keys_of, materialise, short_batches, without
 
 MOST = 3  # times its size that a source or a row is taken at most
 BUCKET_ROWS, FAN, RESERVE, SEED = 512, 64, 64, 7
@@ -83,15 +83,16 @@ def pivot(size: np.ndarray, fraction: np.ndarray, rng: np.random.Generator) -> t
     return np.array(out), left
 
 
-def settle(part: pd.DataFrame, rng: np.random.Generator, first: bool, last: bool) -> pd.DataFrame:
-    """One source's rows of one bucket, long ones first: `fraction` made whole but for rows left `open` (reserve and residual)."""
+def settle(part: pd.DataFrame, rng: np.random.Generator, new: int, last: bool) -> pd.DataFrame:
+    """One source's rows of one bucket, long ones first: `fraction` made whole but for rows left `open` (reserve and residual).
+
+    `new` rows of middle size join the reserve."""
     f, size = part["fraction"].to_numpy(np.float64).copy(), part["size"].to_numpy(np.float64)
     broken = np.flatnonzero((f > 1e-9) & (f < 1 - 1e-9))
     held = part["reserve"].to_numpy(bool).copy()
-    if first:
-        some = max(1, RESERVE // 4)
-        middle = len(broken) // 2
-        held[broken[max(0, middle - some // 2) : middle + some // 2]] = True
+    if new:
+        low = max(0, len(broken) // 2 - new // 2)
+        held[broken[low : low + new]] = True
     kept = np.flatnonzero(held)
     held[kept[RESERVE:]] = False
     own, reserve = np.flatnonzero(~held), np.flatnonzero(held)
@@ -126,13 +127,13 @@ def copies(rows: DataFrame, seed: int = SEED, bucket_rows: int = BUCKET_ROWS, fa
     kind = rows.schema["doc_id"].dataType.simpleString()
     schema = f"doc_id {kind}, _row bigint, source string, size bigint, fraction double, whole bigint, reserve boolean, bucket bigint, level int, open boolean"
 
-    def run_for(level: int, last: bool):
+    def run_for(level: int, last: bool, reserve: int):
         def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
             parts = []
             for source, part in frame.groupby(frame["source"].fillna("\x00null"), sort=True):
                 part = part.sort_values(["size", "_row"], ascending=[False, True], kind="stable")
-                rng = np.random.default_rng([seed, level, int(key[0]), zlib.crc32(source.encode("utf-8", "surrogatepass"))])
-                parts.append(settle(part, rng, level == 0, last).assign(level=level, bucket=int(key[0]) // fan))
+                rng = np.random.default_rng([seed, level, int(key[-1]), zlib.crc32(source.encode("utf-8", "surrogatepass"))])
+                parts.append(settle(part, rng, reserve, last).assign(level=level, bucket=int(key[-1]) // fan))
             return pd.concat(parts)[["doc_id", "_row", "source", "size", "fraction", "whole", "reserve", "bucket", "level", "open"]]
 
         return run
@@ -140,7 +141,10 @@ def copies(rows: DataFrame, seed: int = SEED, bucket_rows: int = BUCKET_ROWS, fa
     current, done, level = level0.withColumn("reserve", F.lit(False)), [], 0
     while True:
         last = n_buckets == 1
-        out = materialise(current.groupBy("bucket").applyInPandas(run_for(level, last), schema), f"mix-level{level}")
+        # Above the leaves each source has a tree of its own, so a group never holds more than FAN residuals and reserves.
+        keys = ["source", "bucket"] if level else ["bucket"]
+        reserve = 0 if level else min(RESERVE // 4, math.ceil(RESERVE / n_buckets))
+        out = materialise(current.groupBy(*keys).applyInPandas(run_for(level, last, reserve), schema), f"mix-level{level}")
         done.append(out.where(~F.col("open")))
         if last:
             break
@@ -155,6 +159,7 @@ def copies(rows: DataFrame, seed: int = SEED, bucket_rows: int = BUCKET_ROWS, fa
 def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = SEED) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(rows: doc_id, _row, source, size, copies; sources: source, source_size, target; sizes: rows with _id and _text)."""
     i, t = keys_of(id_col, text_col)
+    short_batches(docs.sparkSession)
     sizes = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).cast("string").alias("source"), F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("bigint").alias("size"), i, t)
     sizes = materialise(sizes.withColumn("_row", F.monotonically_increasing_id()), "mix-sizes")
     sources = materialise(targets(sizes.groupBy("source").agg(F.sum("size").alias("source_size"))), "mix-sources")
