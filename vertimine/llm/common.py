@@ -13,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from vertimine.session import ship
+
 #: Used only where the session names no spark.checkpoint.dir, as in tests on one machine.
 LOCAL_SHARED_DIR = "file:///tmp/checkpoints"
 #: A side is broadcast only if its measured rows times its row width stay below this.
@@ -112,7 +114,10 @@ BATCH_ROWS = 1000
 
 
 def short_batches(spark: SparkSession) -> None:
-    """Lower the session's Arrow batch size to BATCH_ROWS (a setting that may change at any time); never raises it."""
+    """Lower the session's Arrow batch size to BATCH_ROWS (a setting that may change at any time); never raises it.
+
+    Also gives this package to the executors' Python, so that stages work when they are called one by one."""
+    ship(spark)
     name = "spark.sql.execution.arrow.maxRecordsPerBatch"
     if not 0 < int(spark.conf.get(name, "10000")) <= BATCH_ROWS:
         spark.conf.set(name, str(BATCH_ROWS))
@@ -122,13 +127,19 @@ def short_batches(spark: SparkSession) -> None:
 _tables: dict[str, dict] = {}
 
 
+def release_memory() -> None:
+    """Give freed memory back to the system where the C library can."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def worker_table(operator: str) -> dict:
     if operator not in _tables:
         if _tables:
             _tables.clear()
-            gc.collect()
-            with contextlib.suppress(OSError, AttributeError):  # give freed memory back where the C library can
-                ctypes.CDLL(None).malloc_trim(0)
+            release_memory()
         _tables[operator] = {}
     return _tables[operator]
 

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, short_batches, slices, worker_table
+from .common import documents, release_memory, short_batches, slices, worker_table
 
 WORD = re.compile(r"[^\W_]+")
 MAX_WORDS = 200_000  # of a worker's table of word hashes, before it starts anew
@@ -142,6 +142,8 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", id_col: str
     rows = sorted(zip(got["h"].to_pylist(), got["x"].to_pylist(), got["y"].to_pylist(), strict=True))
     del got
     at, w, intercept = ftrl.fit([np.frombuffer(x, np.uint32) for _, x, _ in rows], [y for *_, y in rows])
+    del rows
+    release_memory()
     shift = np.log(count[1] / count[0]) - np.log(taken[1] / taken[0])
     return Model(bits, at, w, intercept + float(shift))
 
