@@ -31,14 +31,14 @@ def shared_dir(spark: SparkSession) -> str:
     return (spark.conf.get("spark.checkpoint.dir", None) or LOCAL_SHARED_DIR).rstrip("/")
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
+def materialise(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
     """Write df as Parquet into the shared folder and read it back: cuts lineage and outlives lost executors.
 
     Generated row ids and random draws are frozen by it. The tables are removed when the driver's process ends.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/vertimine/{name}-{uuid.uuid4().hex}"
-    df.write.mode("overwrite").option("compression", "zstd").parquet(path)
+    df.write.mode("overwrite").option("compression", codec).parquet(path)
     _written.append((spark, path))
     return spark.read.schema(df.schema).parquet(path)
 
