@@ -148,7 +148,9 @@ def mined(view: str, at: str, pipeline: str = "filtered_mod", **options):
 
 for _view in ("order_brands", "customer_brands", "line_attrs", "line_bins", "user_day_types", "turn_words", "doc_words"):
     for _name in plan.PIPELINES:
-        add(f"fi_{_name}_{_view}", mined(_view, AT[_view], _name), q.frequent(_view, AT[_view]))
+        # The word universe is too large for a pair matrix over all items, so it is off there.
+        _options = {"matrix": "auto"} if _view == "doc_words" else {}
+        add(f"fi_{_name}_{_view}", mined(_view, AT[_view], _name, **_options), q.frequent(_view, AT[_view]))
 for _view in ("order_brands", "user_day_types", "turn_words", "customer_brands"):
     _sql = q.frequent(_view, AT[_view])
     add(f"fi_levelwise_{_view}", mined(_view, AT[_view], "levelwise"), _sql)

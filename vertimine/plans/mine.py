@@ -93,7 +93,9 @@ def mine(tx: Transactions, pipeline: str = "filtered_mod", min_support=None, min
         return bottomup.result(prep.frequent, mined, prep.n_items, config.include_singletons)
     if config.layout != "lists":
         prep.encoded = encode.strip(tx.rows, prep.frequent, prep.n_items).persist()
-    matrix = config.matrix if config.matrix != "auto" else pairs.mode(prep.n_items) == "dense"
+    matrix = config.matrix
+    if matrix == "auto":  # on while the triangle is small: over frequent items if these alone are counted, else over all
+        matrix = pairs.mode(prep.n_items if config.strip else tx.rows.agg(F.count_distinct("item").alias("n")).first()["n"]) == "dense"
     need_pairs = matrix or config.layout == "project" or config.prefix_len > 1 or config.shards
     frequent_pairs = pair_counts(tx, prep, config).persist() if need_pairs else None
     if config.shards:
