@@ -47,11 +47,17 @@ def from_columns(frame: DataFrame, items: dict[str, Column], tid: Column | None
 
     The tid is drawn in a projection of its own, below the explode, so that the items of a row share it.
     """
-    tagged = F.array(*[F.concat_ws("=", F.lit(k), c.cast("string")) for k, c in items.items()])
+    tagged = F.array(*[F.concat(F.lit(f"{k}="), c.cast("string")) for k, c in items.items()])
     rows = frame.select((tid if tid is not None else F.monotonically_increasing_id()).alias("tid"), tagged.alias("_items"))
     return rows.select("tid", F.explode("_items").alias("item"))
 
 
+def wide(frame: DataFrame, items: dict[str, Column], tid: Column | None = None) -> Transactions:
+    """from_columns as transactions. Items carry their column's name, so a row has each once and nothing need be made distinct; `tid` must be unique."""
+    rows = from_columns(frame, items, tid)
+    return Transactions(rows.where("item is not null"), frame.select(F.lit(1).alias("tid")))
+
+
 def words(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), NOT_WORD), lambda w: w != "")
 
@@ -110,8 +116,7 @@ def line_attrs(spark, d):
         "rf": F.col("l_returnflag"), "ls": F.col("l_linestatus"), "ln": F.col("l_linenumber"), "q": F.floor((F.col("l_quantity") - 1) / 10).cast("int"),
         "d": F.round(F.col("l_discount") * 100).cast("int"), "t": F.round(F.col("l_tax") * 100).cast("int"), "y": F.year("l_shipdate"),
     }
-    lines = _line(spark, d)
-    return Transactions.of(from_columns(lines, items))
+    return wide(_line(spark, d), items)
 
 
 def line_bins(spark, d):
@@ -125,13 +130,13 @@ def line_bins(spark, d):
         "d": flag(F.round(F.col("l_discount") * 100) > 5), "t": flag(F.round(F.col("l_tax") * 100) > 4), "p": flag(F.col("l_extendedprice") > 50000),
         "os": F.col("o_orderstatus"), "op": flag(F.col("o_orderpriority") < "3"), "tp": flag(F.col("o_totalprice") > 250000),
     }
-    return Transactions.of(from_columns(_line(spark, d).join(orders, F.col("l_orderkey") == F.col("o_orderkey")), items))
+    return wide(_line(spark, d).join(orders, F.col("l_orderkey") == F.col("o_orderkey")), items)
 
 
 def part_attrs(spark, d):
     name = F.split("p_name", " ")
     items = {"b": F.col("p_brand"), "ty": F.col("p_type"), "sz": F.floor(F.col("p_size") / 10).cast("int"), "w1": F.get(name, 0), "w2": F.get(name, 1)}
-    return Transactions.of(from_columns(table(spark, d, "part"), items, F.col("p_partkey")))
+    return wide(table(spark, d, "part"), items, F.col("p_partkey"))
 
 
 def _user_day():
