@@ -6,6 +6,7 @@ import re
 import zlib
 from collections import Counter
 
+import corpus_pipeline
 import numpy as np
 import public_tokenizers as tokenizers
 import pytest
@@ -274,6 +275,40 @@ def test_hamming_links_of_dense_clusters(spark):
         least.setdefault(roots[f], n)
     assert {r["doc_id"]: r["component_id"] for r in got} == {n: least[roots[f]] for n, f in enumerate(fps)}
 
+def test_near_copies_of_the_stage(spark, monkeypatch):
+    """Near copies at a five-word Jaccard of 0.8, far more than two bits apart, go; all links equal brute force, also over rounds of pivots."""
+    monkeypatch.setattr(simhash, "FIRST_PIVOTS", 2)
+    r = random.Random(8)
+    line = " ".join(f"common{i}" for i in range(12))
+    many = []
+    for c in range(12):
+        base = [f"w{r.randrange(3000)}" for _ in range(r.randint(5, 90))]
+        for _ in range(r.choice([1, 2, 30])):
+            words = list(base)
+            for _ in range(r.randint(0, 3)):
+                words[r.randrange(len(words))] = f"new{r.randrange(10**6)}"
+            many.append(" ".join([*words, line] if c % 3 == 0 else words))
+    texts = [None, "", "a b c", "A  b c", "a b c d", line, *many]
+    docs = [(n, t, "en", "s") for n, t in enumerate(texts)]
+
+    def grams(t):
+        w = (t or "").lower().split()
+        return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+    sets, root = [grams(t) for t in texts], list(range(len(texts)))
+    n_far = 0
+    for i in range(len(texts)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if sets[i] == sets[j] or both * 5 >= len(sets[i] | sets[j]) * 4:
+                n_far += (brute_fingerprint(texts[i]) ^ brute_fingerprint(texts[j])).bit_count() > 2
+                old, new = max(root[i], root[j]), min(root[i], root[j])
+                root = [new if x == old else x for x in root]
+    assert n_far > 10
+    got = {x["doc_id"] for x in simhash.keep_unlike(docs_of(spark, docs)).collect()}
+    assert got == set(root) and simhash.keep_unlike(empty(spark)).count() == 0
+    assert "near_copies" in dict(corpus_pipeline.STAGES)
+
 
 def test_shuffle_paths_give_the_same(spark, rows, monkeypatch):
     """With nothing small enough to broadcast: salted joins and shuffled anti joins."""

@@ -10,6 +10,13 @@ star contractions with tables on shared files between the rounds.
 
 Rows with one fingerprint are one node however many they are. Null and empty texts have fingerprint zero, linked like any
 other. Ids may be null (never a component's id unless all of it are null) or repeat. Empty tables give empty results.
+
+The pipeline's stage `near_copies` (`keep_unlike`) links by content instead: two texts are near copies if their sets of five-word shingles have a
+Jaccard similarity of 0.8 at least. Its candidate search leaves out no such pair. In any fixed order of all shingles, the first
+fifth (and one) of two such sets have a shingle in common; the order is by falling rarity, from a table of counts by hash, so
+that common lines come last. Candidates are checked on the whole sets. Within the texts that have a first shingle in common,
+some pivots are compared with all others first, then more of them, but only with texts not yet connected with the pivot, until
+each pair is compared or connected: a large group of copies costs pairs in proportion to its size.
 """
 
 from __future__ import annotations
@@ -27,6 +34,10 @@ from .common import checked, documents, keys_of, materialise, salted_join, short
 BLOCKS, FAN, CHUNK = 4, 8, 100_000
 #: Dealt fingerprints a task takes in the Hamming join (24 bytes each).
 TASK_ROWS = 1_000_000
+#: Of keep_unlike: words of a shingle, least Jaccard similarity as a fraction, pivots of the first round.
+SHINGLE, SIMILAR, FIRST_PIVOTS = 5, (4, 5), 16
+#: Counters of shingles, by the leading bits of their hashes, and rows in which a task sends them.
+COUNTERS, SECTIONS, COUNTER_SHIFT = 1 << 20, 16, np.uint64(44)
 BYTE_BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1).astype(np.int64)
 
 
@@ -201,11 +212,12 @@ def components(links: DataFrame) -> DataFrame:
     return edges.select(F.col("u").alias("node"), F.col("v").alias("root")).unionAll(edges.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
-def grouped(rows: DataFrame, distance: int = 2) -> DataFrame:
-    """rows (doc_id, fp, ...; on shared files) with component_id: the smallest doc_id reachable, its own included."""
+def grouped(rows: DataFrame, distance: int = 2, links: DataFrame | None = None) -> DataFrame:
+    """rows (doc_id, fp, ...; on shared files) with component_id: the smallest doc_id reachable, its own included. links: (a, b)
+    over fp; without them, fingerprints at most `distance` bits apart are linked."""
     nodes = materialise(rows.groupBy("fp").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("least")), "fingerprints")
     n = nodes.count()
-    roots = materialise(components(near_links(nodes.select("fp"), n, distance)), "components")
+    roots = materialise(components(near_links(nodes.select("fp"), n, distance) if links is None else links), "components")
     n_roots = roots.count()
     placed = nodes.join(checked(roots.withColumnRenamed("node", "fp"), n_roots, 24), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     linked = placed.join(checked(roots.select("root").distinct().withColumn("linked", F.lit(True)), n_roots, 16), "root", "left")
@@ -222,12 +234,162 @@ def classify(docs: DataFrame, shingle: int = 3, distance: int = 2, id_col: str =
     return grouped(rows, distance).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def keep_one(docs: DataFrame, shingle: int = 3, distance: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def shingles(text: str | None, shingle: int = SHINGLE, seed: int = 42) -> np.ndarray:
+    """The set of hashes of the text's shingles, ascending; a text of fewer words is one shingle, none is the empty set."""
+    words = text.encode("utf-8", "surrogatepass").lower().split() if text else []
+    if not words:
+        return np.zeros(0, np.uint64)
+    joined, h = b" ".join(words), xxhash.xxh64_digest
+    ends = [e - 1 for e in accumulate(len(w) + 1 for w in words)]
+    starts = [0, *[e + 1 for e in ends[:-1]]]
+    digests = b"".join([h(joined[s:e], seed) for s, e in zip(starts, ends[shingle - 1 :] or ends[-1:], strict=False)])
+    return np.unique(np.frombuffer(digests, np.uint64))
+
+
+def alike(a: np.ndarray, b: np.ndarray) -> bool:
+    """Jaccard similarity of two sets at least SIMILAR, in whole numbers."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both * SIMILAR[1] >= (len(a) + len(b) - both) * SIMILAR[0]
+
+
+def shingle_sets(docs: DataFrame, shingle: int, id_col: str, text_col: str, more: list) -> DataFrame:
+    """doc_id, `more` columns, fp (a hash of the set: equal sets are one node), shingles (eight bytes each)."""
+    source = docs.select(F.col(text_col).alias("_whole_text"), F.col(id_col).alias("doc_id"), *more)
+    short_batches(docs.sparkSession)
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in source.schema[1:]) + ", fp bigint, shingles binary"
+
+    def run(batches):
+        for b in slices(batches, 200):
+            sets = [shingles(t, shingle).tobytes() for t in b.column(0).to_pylist()]
+            fp = np.array([xxhash.xxh64_intdigest(x, 7) for x in sets], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(fp), pa.array(sets, pa.binary())], names=[*b.schema.names[1:], "fp", "shingles"])
+
+    return source.mapInArrow(run, schema)
+
+
+def shingle_counts(sets: DataFrame) -> np.ndarray:
+    """How many shingles fall on each of COUNTERS hash ranges; the table (four bytes each) reaches the driver."""
+
+    def count(batches):
+        total = np.zeros(COUNTERS, np.uint32)
+        for b in batches:
+            for x in b.column(0):
+                np.add.at(total, np.frombuffer(x.as_buffer(), np.uint64) >> COUNTER_SHIFT, 1)
+        yield pa.RecordBatch.from_arrays([pa.array(range(SECTIONS)), pa.array([x.tobytes() for x in np.split(total, SECTIONS)], pa.binary())], names=["section", "n"])
+
+    def add(part: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(x.as_buffer(), np.uint32) for x in part.column("n"))
+        return pa.table({"section": part.column("section").slice(0, 1), "n": pa.array([total.tobytes()], pa.binary())})
+
+    found = sets.select("shingles").mapInArrow(count, "section bigint, n binary").groupBy("section").applyInArrow(add, "section bigint, n binary").collect()
+    total = np.zeros(COUNTERS, np.uint32)
+    for r in found:
+        total[r["section"] * (COUNTERS // SECTIONS) :][: COUNTERS // SECTIONS] = np.frombuffer(r["n"], np.uint32)
+    return total
+
+
+def first_shingles(sets: DataFrame) -> DataFrame:
+    """key, fp, n (size of the set), m (sets that have the key): the first shingles of each set that other sets have too."""
+    sent = sets.sparkSession.sparkContext.broadcast(shingle_counts(sets))
+
+    def first(batches):
+        for b in slices(batches, 200):
+            keys, owner, size = [], [], []
+            for fp, x in zip(b.column(0).to_pylist(), b.column(1)):
+                h = np.frombuffer(x.as_buffer(), np.uint64)
+                n = len(h)
+                keys.append(h[np.lexsort((h, sent.value[h >> COUNTER_SHIFT]))][: n + 1 + -n * SIMILAR[0] // SIMILAR[1] if n else 0])
+                owner.append(np.full(len(keys[-1]), fp))
+                size.append(np.full(len(keys[-1]), n))
+            if keys:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(np.concatenate(owner).astype(np.int64)), pa.array(np.concatenate(size).astype(np.int64))], names=["key", "fp", "n"])
+
+    def shared(batches):
+        got = [[b.column(i).to_numpy() for i in range(3)] for b in batches if b.num_rows]
+        if not got:
+            return
+        key, fp, n = (np.concatenate(x) for x in zip(*got))
+        del got
+        order = np.lexsort((fp, key))
+        key, fp, n = key[order], fp[order], n[order]
+        one = np.r_[True, (key[1:] != key[:-1]) | (fp[1:] != fp[:-1])]
+        key, fp, n = key[one], fp[one], n[one]
+        start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        size = np.diff(np.r_[start, len(key)])
+        m = np.repeat(size, size)
+        yield pa.RecordBatch.from_arrays([pa.array(x[m > 1]) for x in (key, fp, n, m)], names=["key", "fp", "n", "m"])
+
+    parts = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return sets.select("fp", "shingles").mapInArrow(first, "key bigint, fp bigint, n bigint").repartition(parts, "key").mapInArrow(shared, "key bigint, fp bigint, n bigint, m bigint")
+
+
+def pivot_pairs(members: DataFrame, pivots: int) -> DataFrame:
+    """(a, b): of the sets with one key (columns key, fp, n, comp) the first `pivots` with each later one of another component."""
+
+    def run(batches):
+        got = [[b.column(i).to_numpy() for i in range(4)] for b in batches if b.num_rows]
+        if not got:
+            return
+        key, fp, n, comp = (np.concatenate(x) for x in zip(*got))
+        del got
+        order = np.lexsort((fp * np.int64(-7046029254386353131), key))  # one order for all keys, so that they share pivots
+        key, fp, n, comp = key[order], fp[order], n[order], comp[order]
+        start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        end, made, waiting = np.r_[start[1:], len(key)], [], 0
+
+        def flush():
+            a, b = np.unique(np.concatenate(made), axis=0).T
+            for at in range(0, len(a), CHUNK):
+                yield pa.RecordBatch.from_arrays([pa.array(a[at : at + CHUNK]), pa.array(b[at : at + CHUNK])], names=["a", "b"])
+
+        for s, e in zip(start.tolist(), end.tolist()):
+            for i in range(s, min(e - 1, s + pivots)):
+                small, large = np.minimum(n[i], n[i + 1 : e]), np.maximum(n[i], n[i + 1 : e])
+                j = i + 1 + np.flatnonzero((comp[i + 1 : e] != comp[i]) & (small * SIMILAR[1] >= large * SIMILAR[0]))
+                if len(j):
+                    made.append(np.stack([np.minimum(fp[i], fp[j]), np.maximum(fp[i], fp[j])], 1))
+                    waiting += len(j)
+                if waiting > 10 * CHUNK:
+                    yield from flush()
+                    made, waiting = [], 0
+        if made:
+            yield from flush()
+
+    parts = int(members.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return members.select("key", "fp", "n", "comp").repartition(parts, "key").mapInArrow(run, "a bigint, b bigint").distinct()
+
+
+def similar_links(sets: DataFrame) -> DataFrame:
+    """Links (a, b) that connect all sets (fp, shingles; on shared files) with a Jaccard similarity of SIMILAR at least."""
+    members = materialise(first_shingles(sets), "near-members")
+    largest = members.agg(F.max("m")).first()[0] or 0
+    nodes = members.select("fp").distinct()
+    whole = materialise(sets.select("fp", "shingles").join(nodes, "fp", "left_semi").dropDuplicates(["fp"]), "near-sets")
+    n_bytes = whole.agg(F.sum(F.length("shingles") + 64)).first()[0] or 0
+
+    def run(batches):
+        for b in slices(batches, 200):
+            good = [alike(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)) for x, y in zip(b.column(2), b.column(3))]
+            yield pa.RecordBatch.from_arrays(b.columns[:2], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
+
+    found, roots, pivots, before = None, None, FIRST_PIVOTS, 1
+    while before < largest:
+        some = members.where(F.col("m") > before)  # smaller groups have been compared whole
+        some = some.withColumn("comp", F.col("fp")) if roots is None else some.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").withColumn("comp", F.coalesce("root", "fp"))
+        pairs = materialise(pivot_pairs(some, pivots), "near-pairs")
+        left, right = (whole.select(F.col("fp").alias(x), F.col("shingles").alias(f"set_{x}")) for x in "ab")
+        both = pairs.join(checked(left, n_bytes, 1), "a").join(checked(right, n_bytes, 1), "b").select("a", "b", "set_a", "set_b")
+        good = materialise(both.mapInArrow(run, "a bigint, b bigint"), "near-links")
+        found = good if found is None else found.unionAll(good)
+        before, pivots = pivots, pivots * 8
+        if before < largest:
+            roots = materialise(components(found), "near-roots")
+    return found if found is not None else whole.select(F.col("fp").alias("a"), F.col("fp").alias("b")).limit(0)
+
+
+def first_of_each(docs: DataFrame, told: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """Rows of docs, all columns, that stay: of each component the rows with its smallest id (of rows with one id, those whose text
-    has the smallest hash; of components without any id, likewise)."""
-    i, t = keys_of(id_col, text_col)
-    rows = materialise(fingerprints(docs, shingle, id_col, text_col, [i, t]), "simhash")
-    told = grouped(rows, distance).select("_id", "_text", "doc_id", "component_id", "fp")
+    has the smallest hash; of components without any id, likewise). told: _id, _text, doc_id, component_id, fp."""
     told = materialise(told, "near-told")
     whole = F.coalesce(F.col("component_id").cast("string"), F.concat(F.lit("\x00"), F.col("fp").cast("string")))
     mine = told.withColumn("_group", whole)
@@ -239,5 +401,19 @@ def keep_one(docs: DataFrame, shingle: int = 3, distance: int = 2, id_col: str =
     return without(docs, gone, gone.count(), id_col, text_col)
 
 
+def keep_one(docs: DataFrame, shingle: int = 3, distance: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Rows of docs that stay where fingerprints at most `distance` bits apart are linked."""
+    rows = materialise(fingerprints(docs, shingle, id_col, text_col, keys_of(id_col, text_col)), "simhash")
+    told = grouped(rows, distance).select("_id", "_text", "doc_id", "component_id", "fp")
+    return first_of_each(docs, told, id_col, text_col)
+
+
+def keep_unlike(docs: DataFrame, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Rows of docs that stay where all texts with a Jaccard similarity of SIMILAR at least are linked."""
+    rows = materialise(shingle_sets(docs, shingle, id_col, text_col, keys_of(id_col, text_col)), "shingle-sets")
+    told = grouped(rows.drop("shingles"), links=similar_links(rows)).select("_id", "_text", "doc_id", "component_id", "fp")
+    return first_of_each(docs, told, id_col, text_col)
+
+
 def op9_simhash_gray(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify(documents(spark, sf_dir))
