@@ -424,6 +424,17 @@ def test_token_files(spark, rows, monkeypatch):
     assert token_files.write_corpus(empty(spark), path, 2).digests().count() == 0
 
 
+def test_pieces_with_control_characters():
+    """Every character below U+0100, alone, within and beside words, in texts that are looked up word by word."""
+    from tokenizers import Tokenizer
+
+    path = tokenizers.path("word_bpe_49k.json")
+    t, table = Tokenizer.from_file(path), token_files.PieceTokenizer(path)
+    texts = ["a \x00 b", "a \x07 b", "a\x7fb !\x07", "\x01\x02", *[f"x {chr(c)} y{chr(c)}z !{chr(c)}" for c in range(256)]]
+    for text, got in zip(texts, table.encode(texts), strict=True):
+        assert np.frombuffer(got, "<u4").tolist() == t.encode(text, add_special_tokens=False).ids, ascii(text)
+
+
 @settings(max_examples=200, deadline=None)
 @given(st.lists(st.integers(0, 2**32 - 1)))
 def test_pack_round_trip(values):

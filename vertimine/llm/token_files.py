@@ -103,7 +103,7 @@ class PieceTokenizer:
 
     def _encode_piece(self, piece: str) -> bytes:
         """A piece needs no normalising or splitting any more: the library's model gets its bytes in the byte-level alphabet."""
-        written = piece if piece.isascii() else piece.encode().decode("latin-1").translate(BYTE_LETTERS)
+        written = piece if piece.isascii() and piece.isprintable() else piece.encode().decode("latin-1").translate(BYTE_LETTERS)
         return array(self.code, map(ID, self.model.tokenize(written))).tobytes()
 
     def _word(self, word: str) -> bytes:
