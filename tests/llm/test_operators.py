@@ -14,7 +14,7 @@ import xxhash
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from vertimine.llm import bm25, bpe, common, exact_dedup, language, licenses, mixing, quotes, simhash, token_files, toxicity
+from vertimine.llm import bm25, bpe, common, exact_dedup, language, licenses, mixing, queries, quotes, simhash, token_files, toxicity
 
 SCHEMA = "doc_id bigint, text string, lang string, source string, n_chars bigint, `key` int, size int, _text string"
 UP = str.maketrans(common.UPPER, common.LOWER)
@@ -379,6 +379,19 @@ def test_bm25(spark, rows, monkeypatch):
     assert bm25.BM25Index.build(empty(spark)).search(queries, 3).count() == 0
 
 
+def test_bm25_queries_are_documents(spark, sf, monkeypatch):
+    """Every document with an id divisible by 20 is a query, whole, over several passes; scores as by brute force."""
+    monkeypatch.setattr(bm25, "TABLE_QUERIES", 4)
+    docs = [(r["doc_id"], r["text"]) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
+    found = {}
+    for x in queries.QUERIES["op4_bm25_documents"](spark, sf).orderBy("query_id", "place").collect():
+        found.setdefault(x["query_id"], []).append(x["score"])
+    asked = [(i, t) for i, t in docs if i % 20 == 0]
+    assert len(asked) == 10 and set(found) <= {i for i, _ in asked}
+    for i, text in asked:
+        assert found.get(i, []) == pytest.approx([s for _, s in brute_bm25(docs, text or "", 10)], abs=2e-5), i
+
+
 def test_wand_equals_full_scores():
     r = np.random.default_rng(2)
     import pyarrow as pa

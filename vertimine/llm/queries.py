@@ -8,6 +8,7 @@ QUERIES = {
     "op1_quote_links": quotes.op1_quote_links,
     "op2_license_diagonals": licenses.op2_license_diagonals,
     "op3_exact_dedup": exact_dedup.op3_exact_dedup,
+    "op4_bm25_documents": lambda spark, sf_dir: bm25.op4_bm25_documents(spark, sf_dir).withColumn("score", F.round("score", 5)),
     "op4_bm25_topk": lambda spark, sf_dir: bm25.op4_bm25_topk(spark, sf_dir).withColumn("score", F.round("score", 5)),
     "op5_bpe_prefix_dp": bpe.op5_bpe_prefix_dp,
     "op6_toxicity_ftrl": toxicity.op6_toxicity_ftrl,
