@@ -505,6 +505,17 @@ def test_quotes(spark):
         seen.add((r["conv_id"], r["turn"]))
 
 
+def test_trimmed_quotes(spark):
+    """Some lines of a paragraph, lines over two paragraphs, one sentence of a line, a sentence wrapped anew: each has its message."""
+    rows = [
+        (1, 0, "u", "First line\nSecond line\nThird line\n\nNext part"), (1, 1, "u", "One thing is so. Another is not! Last words"), (1, 2, "u", "First line"),
+        (1, 3, "a", "> First line\n> Second line\nx"), (1, 4, "a", "> Third line\n> Next part\nx"), (1, 5, "a", "> another is NOT!\nx"), (1, 6, "a", "> Another\n> is not!\nx"),
+        (1, 7, "a", "> not said\n> anywhere\nx"), (2, 0, "a", "> Another is not!"),
+    ]
+    got = quotes.link(spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string")).where("n_quotes > 0").collect()
+    assert {(r["conv_id"], r["turn"]): (r["reply_to"], r["n_linked"]) for r in got} == {(1, 3): (0, 1), (1, 4): (0, 1), (1, 5): (1, 1), (1, 6): (1, 1), (1, 7): (None, 0), (2, 0): (None, 0)}
+
+
 def test_quotes_long_chain(spark):
     """A chain of replies over several ranges of turns, each quoting the one before."""
     rows = [(7, n, "u", (f"> line number {n - 1}\n" if n else "") + f"line number {n}") for n in range(2500)]

@@ -2,7 +2,8 @@
 
 A line's quote level is the number of `>` before its text. Neighbouring lines of one level, not parted by a blank line, are a
 passage; a passage is normalised (lower case, runs of white space to one blank, trimmed) and hashed. A quoted passage is linked
-to the latest earlier message of its conversation that has it unquoted, as a paragraph or as one line. A message
+to the latest earlier message of its conversation that has it unquoted, as a paragraph or as one line; if there is none, to the
+earlier message that has the most of its lines and sentences unquoted (of several, the latest). A message
 replies to the message its outermost linked passage comes from (of several, the latest). Conversations are put in
 reply order: `thread` is the first message up the chain of replies, and within conversation and thread messages go by turn, so
 that an answer stands after what it answers. `body` is the message without its quoted lines, `chat` the body with its role.
@@ -10,6 +11,7 @@ that an answer stands after what it answers. `body` is the message without its q
 Turns of one conversation that are equal (or null: they count as before all others) are one message position: its rows keep their own bodies and are linked alike. Null
 texts are empty, null roles `unknown`; a null conversation is one of its own. Repeated rows each get a row. Hot passages and long
 conversations: links are looked up through the latest earlier position in ranges of SPAN turns, so no group of rows is sorted whole.
+Only passages without a whole source are joined with all earlier messages that have a line or sentence of them.
 """
 
 from __future__ import annotations
@@ -47,8 +49,15 @@ def digest(text: Column) -> Column:
     return F.xxhash64(normal(text))
 
 
+def pieces(lines: Column) -> Column:
+    """Hashes of the lines and sentences of a passage; sentences may run over lines."""
+    runs = F.concat(lines, F.array(F.array_join(lines, " ")))
+    parts = F.flatten(F.transform(runs, lambda x: F.split(F.regexp_replace(x, r"([.!?…]+[\"')\]”’]*)\s+|([。！？]+)\s*", "$1$2\x01"), "\x01")))
+    return F.array_distinct(F.transform(F.filter(F.concat(lines, parts), lambda x: F.trim(x) != ""), digest))
+
+
 def parse(turns: DataFrame) -> DataFrame:
-    """conv_id, turn, role, body, quoted (array of level and hash), own (array of hashes)."""
+    """conv_id, turn, role, body, quoted (array of level, hash and hashes of pieces), own (array of hashes), own_pieces (likewise)."""
     split = turns.select("conv_id", "turn", F.coalesce("role", F.lit("unknown")).alias("role"), passages(F.col("text")).alias("p"))
     own = F.filter("p", lambda x: (x["level"] == 0) & (F.size(x["lines"]) > 0))
     quoted = F.filter("p", lambda x: (x["level"] > 0) & (F.size(x["lines"]) > 0))
@@ -57,13 +66,14 @@ def parse(turns: DataFrame) -> DataFrame:
     return split.select(
         "conv_id", "turn", "role",
         F.array_join(F.transform(own, lambda x: F.array_join(x["lines"], "\n")), "\n\n").alias("body"),
-        F.transform(quoted, lambda x: F.struct(x["level"].alias("level"), digest(F.array_join(x["lines"], " ")).alias("h"))).alias("quoted"),
+        F.transform(quoted, lambda x: F.struct(x["level"].alias("level"), digest(F.array_join(x["lines"], " ")).alias("h"), pieces(x["lines"]).alias("pieces"))).alias("quoted"),
         F.array_distinct(F.concat(paragraph, single)).alias("own"),
+        F.array_distinct(F.flatten(F.transform(own, lambda x: pieces(x["lines"])))).alias("own_pieces"),
     )
 
 
 def links(parsed: DataFrame) -> DataFrame:
-    """conv, at, level, source: for each quoted passage the latest earlier position that has it. conv and at are never null."""
+    """conv, at, level, source: for each quoted passage the latest earlier position that has it, else the one that has most of it. conv and at are never null."""
     wanted = parsed.select("conv", "at", F.explode("quoted").alias("q")).select("conv", "at", F.col("q.level").alias("level"), F.col("q.h").alias("h")).distinct()
     asked = wanted.select("conv", "h").distinct()
     have = parsed.select("conv", "at", F.explode("own").alias("h")).join(asked, ["conv", "h"], "left_semi").distinct()
@@ -74,7 +84,13 @@ def links(parsed: DataFrame) -> DataFrame:
     carried = ranges.withColumn("before", F.max("last").over(W.partitionBy("conv", "h").orderBy("span").rowsBetween(W.unboundedPreceding, -1))).drop("last")
     inside = F.max(F.when(F.col("has"), F.col("at"))).over(W.partitionBy("conv", "h", "span").orderBy("at").rowsBetween(W.unboundedPreceding, -1))
     found = marks.withColumn("inside", inside).join(carried, ["conv", "h", "span"]).select("conv", "h", "at", F.coalesce("inside", "before").alias("source")).where("source is not null")
-    return wanted.join(found, ["conv", "h", "at"]).select("conv", "at", "level", "source")
+    found = materialise(found, "whole-links")
+    rest = parsed.select("conv", "at", F.explode("quoted").alias("q")).select("conv", "at", "q.level", "q.h", F.explode("q.pieces").alias("piece")).distinct()
+    rest = rest.join(found, ["conv", "h", "at"], "left_anti")
+    earlier = parsed.select("conv", F.col("at").alias("source"), F.explode("own_pieces").alias("piece")).distinct()
+    votes = rest.join(earlier, ["conv", "piece"]).where("source < at").groupBy("conv", "at", "level", "h", "source").agg(F.count(F.lit(1)).alias("n"))
+    most = votes.groupBy("conv", "at", "level", "h").agg(F.max(F.struct("n", "source")).alias("best")).select("conv", "at", "level", F.col("best.source").alias("source"))
+    return wanted.join(found, ["conv", "h", "at"]).select("conv", "at", "level", "source").unionAll(most)
 
 
 def threads(parents: DataFrame) -> DataFrame:
