@@ -516,6 +516,15 @@ def test_trimmed_quotes(spark):
     assert {(r["conv_id"], r["turn"]): (r["reply_to"], r["n_linked"]) for r in got} == {(1, 3): (0, 1), (1, 4): (0, 1), (1, 5): (1, 1), (1, 6): (1, 1), (1, 7): (None, 0), (2, 0): (None, 0)}
 
 
+def test_quotes_query_is_in_reply_order(spark, sf):
+    ordered = queries.QUERIES["op1_quote_links"](spark, sf)
+    assert "rangepartitioning(conv_id" in ordered._jdf.queryExecution().toString()
+    got = [(r["conv_id"], r["thread"], r["turn"]) for r in ordered.collect()]
+    assert len(got) == spark.read.parquet(f"{sf}/conversations.parquet").count()
+    known = [x for x in got if None not in x]
+    assert known == sorted(known)
+
+
 def test_quotes_long_chain(spark):
     """A chain of replies over several ranges of turns, each quoting the one before."""
     rows = [(7, n, "u", (f"> line number {n - 1}\n" if n else "") + f"line number {n}") for n in range(2500)]

@@ -128,4 +128,4 @@ def in_reply_order(linked: DataFrame, parts: int) -> DataFrame:
 
 
 def op1_quote_links(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return link(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
+    return in_reply_order(link(spark.read.parquet(f"{sf_dir}/conversations.parquet")), int(spark.conf.get("spark.sql.shuffle.partitions")))
