@@ -9,6 +9,7 @@ import gc
 import uuid
 from collections.abc import Iterable
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -27,8 +28,11 @@ _written: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: the session's spark.checkpoint.dir, our own only where it is unset."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or LOCAL_SHARED_DIR).rstrip("/")
+    """The folder that driver and executors share: the session's spark.checkpoint.dir. Our own only where that is unset and all is one process."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not spark.conf.get("spark.master", "").split("[")[0] == "local":
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+    return (named or LOCAL_SHARED_DIR).rstrip("/")
 
 
 def materialise(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
@@ -110,17 +114,20 @@ def without(docs: DataFrame, gone: DataFrame, n_gone: int, id_col: str = "doc_id
 
 
 #: Rows of an Arrow batch: texts can be long, and a batch stands in memory twice, in the JVM and in Python.
-BATCH_ROWS = 1000
+BATCH_ROWS, BATCH_BYTES = 1000, 32 << 20
+#: Characters of the longest word or piece that a worker's table keeps, so that bounds in entries bound the bytes too.
+KEPT_CHARS = 64
 
 
 def short_batches(spark: SparkSession) -> None:
-    """Lower the session's Arrow batch size to BATCH_ROWS (a setting that may change at any time); never raises it.
+    """Lower the session's Arrow batch size to BATCH_ROWS and BATCH_BYTES (settings that may change at any time); never raises it.
 
     Also gives this package to the executors' Python, so that stages work when they are called one by one."""
     ship(spark)
-    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(spark.conf.get(name, "10000")) <= BATCH_ROWS:
-        spark.conf.set(name, str(BATCH_ROWS))
+    for name, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
+        with contextlib.suppress(Exception):  # a Spark that has no such setting
+            if not 0 < int(spark.conf.get(name, str(1 << 31))) <= most:
+                spark.conf.set(name, str(most))
 
 
 #: Tables that a Python worker keeps between tasks, by operator. Only the operator at work has any.
@@ -144,9 +151,27 @@ def worker_table(operator: str) -> dict:
     return _tables[operator]
 
 
-def slices(batches: Iterable, rows: int = 1000):
-    """Arrow batches cut into small ones; Arrow's spare memory goes back at the end."""
+#: Bytes of text that a slice of a batch holds, but for a single longer text.
+SLICE_BYTES = 4 << 20
+
+
+def text_ends(column: pa.Array) -> np.ndarray | None:
+    """For strings and bytes the place of each value's start and of the last one's end; None for other types."""
+    kind = column.type
+    if pa.types.is_string(kind) or pa.types.is_binary(kind):
+        return np.frombuffer(column.buffers()[1], np.int32, len(column) + 1, column.offset * 4).astype(np.int64)
+    if pa.types.is_large_string(kind) or pa.types.is_large_binary(kind):
+        return np.frombuffer(column.buffers()[1], np.int64, len(column) + 1, column.offset * 8)
+    return None
+
+
+def slices(batches: Iterable, rows: int = 1000, most_bytes: int = SLICE_BYTES):
+    """Arrow batches cut into small ones, by rows and by the bytes of their texts; Arrow's spare memory goes back at the end."""
     for b in batches:
-        for at in range(0, b.num_rows, rows):
-            yield b.slice(at, rows)
+        ends = sum((x for x in map(text_ends, b.columns) if x is not None), np.zeros(b.num_rows + 1, np.int64)) if b.num_rows else None
+        at = 0
+        while at < b.num_rows:
+            to = min(b.num_rows, at + rows, max(at + 1, int(np.searchsorted(ends, ends[at] + most_bytes, "right")) - 1))
+            yield b.slice(at, to - at)
+            at = to
     pa.default_memory_pool().release_unused()
