@@ -13,6 +13,7 @@ Null texts have the end id only. Empty tables give empty files.
 
 from __future__ import annotations
 
+import json
 import os
 import re
 import zlib
@@ -25,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import documents, materialise, short_batches, slices, worker_table
+from .common import KEPT_CHARS, documents, materialise, short_batches, slices, worker_table
 
 #: Words and pieces of a worker's table before it starts anew.
 MAX_PIECES = 300_000
@@ -70,10 +71,24 @@ class PieceTokenizer:
 
     Texts of plain Latin letters are cut at white space and looked up word by word. A word not in the table is split as the
     tokenizer's own pattern does; pieces not in the table are encoded by the library. All other texts go through the library
-    whole. Only for tokenizers that drop white space and whose pieces do not depend on each other.
+    whole, and so does every text if the file's normaliser, splitter, model or special tokens are not of the kind that RULES states.
     """
 
-    #: The pieces of word_bpe_49k.json after its lower-casing, for characters below U+0250.
+    #: Fixed values of the file format: rules under which words and pieces may be looked up one by one.
+    RULES = {
+        "normalizer": {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}, {"type": "Lowercase"}]},
+        "pre_tokenizer": {
+            "type": "Sequence",
+            "pretokenizers": [
+                {"type": "Split", "pattern": {"Regex": r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"}, "behavior": "Removed", "invert": True},
+                {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False},
+            ],
+        },
+        "truncation": None,
+        "padding": None,
+    }
+
+    #: The pieces of those rules after lower-casing, for characters below U+0250.
     PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
     ODD = re.compile("[\x1c-\x1f²³¹¼-¾İ]|[^\x00-ɏ]")
     #: Of these, the ones in Latin-1: seven searches for a character cost less than one for a class.
@@ -87,10 +102,15 @@ class PieceTokenizer:
         self.tokenizer = Tokenizer.from_file(path)
         self.model = self.tokenizer.model
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        rules = json.loads(self.tokenizer.to_str())
+        known = all(rules.get(k) == v for k, v in self.RULES.items()) and rules["model"]["type"] == "BPE" and not rules["model"].get("dropout")
+        self.by_words = known and not any(t["single_word"] or t["normalized"] for t in rules["added_tokens"])
         self.code, self.pieces = code, {}
 
     def plain(self, text: str) -> bool:
         """True if the text's words may be looked up."""
+        if not self.by_words:
+            return False
         try:
             text.isascii() or text.encode("latin-1")
             odd = any(c in text for c in self.ODD_LATIN)
@@ -112,7 +132,9 @@ class PieceTokenizer:
         for p in self.PIECE.findall(word):
             ids = known.get(p)
             if ids is None:
-                known[p] = ids = self._encode_piece(p)
+                ids = self._encode_piece(p)
+                if len(p) <= KEPT_CHARS:
+                    known[p] = ids
             parts.append(ids)
         return b"".join(parts)
 
@@ -135,7 +157,9 @@ class PieceTokenizer:
                 w = words[at]
                 ids = known.get(w)  # it may have come earlier in this text
                 if ids is None:
-                    known[w] = ids = self._encode_piece(w) if w.isalpha() else self._word(w)
+                    ids = self._encode_piece(w) if w.isalpha() else self._word(w)
+                    if len(w) <= KEPT_CHARS:
+                        known[w] = ids
                 found[at] = ids
             out.append(b"".join(found))
         return out
