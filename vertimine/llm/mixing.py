@@ -5,13 +5,17 @@ whole by pairing rows: in a pair, mass (words) moves at random from one row to t
 with odds that keep every row's expected copies; the words taken in sum do not change. Rows are paired in buckets of a
 few hundred rows; the one row of each source that a bucket leaves fractional goes up to the next level of that source's tree,
 where the residuals of FAN buckets are paired again, and so on to the root. There one row of each source is left, often a long one, and is
-rounded to the nearer whole number. What that misses by is spread over a reserve: some rows of middle size that each source
-keeps fractional up to the root, where they take the difference up before they are paired in their turn. So a source misses its
-target by about half the size of one such row, if the reserve is large enough, and by half of its longest row at most.
+rounded to the nearer whole number. What that misses by is made good by a reserve: up to RESERVE rows of all sizes that each source
+keeps fractional up to the root; once they are paired too, some are turned over, long ones first, where that brings the source nearer to its
+target. So a source misses its target by half the size of the shortest of these if the reserve is large enough, and by half of its longest row at most.
+
+Rows alike in id, text and source are paired with each other first: of n such rows with fraction f, floor(n * f) get a copy more and
+one goes on with what is left. So a group of any size enters the buckets as one row.
 
 Sources are ordered by code point, null last; weights 1, 2, 3 repeat in that order. Null text: size 0, never taken. Rows with
-null or repeated ids are rows of their own. The draws depend on seed, source, bucket and level only: reruns agree. Without
-words every target is 0.
+null or repeated ids are rows of their own. The draws depend on the seed, the level, the source, and the ids and texts of a bucket
+only, never on how the rows are dealt to files, tasks or cores: reruns agree. Which of several rows alike in id, text and source gets
+the copy more is open where they differ in other columns. Without words every target is 0. Empty tables give empty results.
 """
 
 from __future__ import annotations
@@ -21,15 +25,17 @@ import zlib
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import checked, documents, keys_of, materialise, short_batches, without
+from .common import checked, documents, keys_of, materialise, salted_join, short_batches
 
 MOST = 3  # times its size that a source or a row is taken at most
-BUCKET_ROWS, FAN, RESERVE, SEED = 512, 64, 64, 7
+BUCKET_ROWS, FAN, RESERVE, SEED = 512, 64, 256, 7
 WORD = r"[^\x20\x09-\x0D]+"
+#: Columns that tell groups of rows alike, and rows that one step of repeating makes of a group.
+ALIKE, REPEAT = ["_id", "_text", "_source"], 4096
 
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most: int = MOST) -> DataFrame:
@@ -86,63 +92,62 @@ def pivot(size: np.ndarray, fraction: np.ndarray, rng: np.random.Generator) -> t
 def settle(part: pd.DataFrame, rng: np.random.Generator, new: int, last: bool) -> pd.DataFrame:
     """One source's rows of one bucket, long ones first: `fraction` made whole but for rows left `open` (reserve and residual).
 
-    `new` rows of middle size join the reserve."""
+    `new` rows, from the longest to the shortest, join the reserve."""
     f, size = part["fraction"].to_numpy(np.float64).copy(), part["size"].to_numpy(np.float64)
     broken = np.flatnonzero((f > 1e-9) & (f < 1 - 1e-9))
     held = part["reserve"].to_numpy(bool).copy()
-    if new:
-        low = max(0, len(broken) // 2 - new // 2)
-        held[broken[low : low + new]] = True
+    if new and len(broken):
+        held[broken[np.linspace(0, len(broken) - 1, min(new, len(broken))).astype(int)]] = True
     kept = np.flatnonzero(held)
-    held[kept[RESERVE:]] = False
+    if len(kept) > RESERVE:
+        held[kept] = False
+        held[kept[np.linspace(0, len(kept) - 1, RESERVE).astype(int)]] = True
     own, reserve = np.flatnonzero(~held), np.flatnonzero(held)
     f[own], left = pivot(size[own], f[own], rng)
     still = held.copy()
     if last:
         still[:] = False
+        rows = np.sort(np.r_[own[left : left + 1] if left >= 0 else own[:0], reserve].astype(int))
+        f[rows], left = pivot(size[rows], f[rows], rng)
+        miss = 0.0
         if left >= 0:
-            i = own[left]
+            i = rows[left]
             miss, f[i] = (f[i] - round(f[i])) * size[i], round(f[i])
-            for _ in range(8):  # even shares; what one row can't take goes to the others
-                open_ = [j for j in reserve if (f[j] < 1 if miss > 0 else f[j] > 0)]
-                if abs(miss) < 1e-6 or not open_:
-                    break
-                share = miss / size[open_].sum()
-                new = np.clip(f[open_] + share, 0, 1)
-                miss -= float(((new - f[open_]) * size[open_]).sum())
-                f[open_] = new
-        f[reserve], left = pivot(size[reserve], f[reserve], rng)
-        if left >= 0:
-            f[reserve[left]] = round(f[reserve[left]])
+        for i in rows:  # long ones first: a row is turned over where that brings the source nearer to its target
+            turned = miss + (2 * f[i] - 1) * size[i]
+            if abs(turned) < abs(miss):
+                miss, f[i] = turned, 1 - f[i]
     elif left >= 0:
         still[own[left]] = True
     return part.assign(fraction=f, reserve=held, open=still)
 
 
 def copies(rows: DataFrame, seed: int = SEED, bucket_rows: int = BUCKET_ROWS, fan: int = FAN) -> DataFrame:
-    """rows: doc_id, _row (unique), source, size, fraction, whole. Returns them with `fraction` rounded to 0 or 1."""
+    """rows: ALIKE (unique), source, size, fraction, and others. Returns them with `fraction` rounded to 0 or 1."""
     n = rows.count()
     n_buckets = max(1, math.ceil(n / bucket_rows))
-    level0 = rows.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "size", "_row"), F.lit(n_buckets)))
-    kind = rows.schema["doc_id"].dataType.simpleString()
-    schema = f"doc_id {kind}, _row bigint, source string, size bigint, fraction double, whole bigint, reserve boolean, bucket bigint, level int, open boolean"
+    order = ["size", "_key", *ALIKE]
+    names = [*rows.columns, "_key", "reserve", "bucket", "level", "open"]
+    keyed = rows.withColumn("_key", F.xxhash64(*ALIKE))
+    current = keyed.withColumn("reserve", F.lit(False)).withColumn("bucket", F.pmod(F.xxhash64(F.lit(seed), *ALIKE), F.lit(n_buckets)))
+    schema = current.withColumns({"level": F.lit(0), "open": F.lit(False)}).schema
 
     def run_for(level: int, last: bool, reserve: int):
         def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
             parts = []
-            for source, part in frame.groupby(frame["source"].fillna("\x00null"), sort=True):
-                part = part.sort_values(["size", "_row"], ascending=[False, True], kind="stable")
+            for source, part in frame.groupby("_source", sort=True):
+                part = part.sort_values(order, ascending=[False, *[True] * (len(order) - 1)], kind="stable")
                 rng = np.random.default_rng([seed, level, int(key[-1]), zlib.crc32(source.encode("utf-8", "surrogatepass"))])
                 parts.append(settle(part, rng, reserve, last).assign(level=level, bucket=int(key[-1]) // fan))
-            return pd.concat(parts)[["doc_id", "_row", "source", "size", "fraction", "whole", "reserve", "bucket", "level", "open"]]
+            return pd.concat(parts)[names]
 
         return run
 
-    current, done, level = level0.withColumn("reserve", F.lit(False)), [], 0
+    done, level = [], 0
     while True:
         last = n_buckets == 1
         # Above the leaves each source has a tree of its own, so a group never holds more than FAN residuals and reserves.
-        keys = ["source", "bucket"] if level else ["bucket"]
+        keys = ["_source", "bucket"] if level else ["bucket"]
         reserve = 0 if level else min(RESERVE // 4, math.ceil(RESERVE / n_buckets))
         out = materialise(current.groupBy(*keys).applyInPandas(run_for(level, last, reserve), schema), f"mix-level{level}")
         done.append(out.where(~F.col("open")))
@@ -153,42 +158,68 @@ def copies(rows: DataFrame, seed: int = SEED, bucket_rows: int = BUCKET_ROWS, fa
     result = done[0]
     for x in done[1:]:
         result = result.unionAll(x)
-    return result
+    return result.select(*rows.columns)
+
+
+def alike(id_col: str, text_col: str, source_col: str) -> list[Column]:
+    """What rows that count as one group share."""
+    source = F.col(source_col).cast("string")
+    return [*keys_of(id_col, text_col), F.when(source.isNull(), "n").otherwise(F.concat(F.lit("s"), source)).alias("_source")]
 
 
-def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = SEED) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(rows: doc_id, _row, source, size, copies; sources: source, source_size, target; sizes: rows with _id and _text)."""
-    i, t = keys_of(id_col, text_col)
+def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = SEED) -> tuple[DataFrame, DataFrame]:
+    """(groups: ALIKE, doc_id, source, size, n rows alike, whole copies of each of them, extra of them that get one more; sources:
+    source, source_size, target)."""
     short_batches(docs.sparkSession)
-    sizes = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).cast("string").alias("source"), F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("bigint").alias("size"), i, t)
-    sizes = materialise(sizes.withColumn("_row", F.monotonically_increasing_id()), "mix-sizes")
-    sources = materialise(targets(sizes.groupBy("source").agg(F.sum("size").alias("source_size"))), "mix-sources")
-    n_sources = sources.count()
+    size = F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("bigint")
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).cast("string").alias("source"), size.alias("size"), *alike(id_col, text_col, source_col))
+    # Partial counts before the exchange: a group of copies moves as one row a task.
+    groups = rows.groupBy(*ALIKE).agg(F.min("doc_id").alias("doc_id"), F.min("source").alias("source"), F.min("size").alias("size"), F.count(F.lit(1)).alias("n"))
+    groups = materialise(groups, "mix-sizes")
+    sources = materialise(targets(groups.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).alias("source_size"))), "mix-sources")
     rate = sources.select(F.col("source").alias("_s"), F.when(F.col("source_size") > 0, F.least(F.lit(float(MOST)), F.col("target") / F.col("source_size"))).otherwise(0.0).alias("rate"))
-    rows = sizes.join(checked(rate, n_sources, 64), F.col("source").eqNullSafe(F.col("_s"))).drop("_s")
-    rows = rows.withColumn("rate", F.when(F.col("size") > 0, F.col("rate")).otherwise(0.0))
-    rows = rows.withColumn("whole", F.floor(F.col("rate") + 1e-9)).withColumn("fraction", F.greatest(F.col("rate") - F.col("whole"), F.lit(0.0)))
-    out = copies(rows.select("doc_id", "_row", "source", "size", "fraction", "whole"), seed)
-    return out.select("doc_id", "_row", "source", "size", (F.col("whole") + F.round("fraction").cast("bigint")).alias("copies")), sources, sizes
+    told = groups.join(checked(rate, sources.count(), 64), F.col("source").eqNullSafe(F.col("_s"))).drop("_s")
+    told = told.withColumn("rate", F.when(F.col("size") > 0, F.col("rate")).otherwise(0.0)).withColumn("whole", F.floor(F.col("rate") + 1e-9))
+    told = told.withColumn("over", F.greatest(F.col("rate") - F.col("whole"), F.lit(0.0)) * F.col("n")).withColumn("extra", F.floor(F.col("over") + 1e-9))
+    told = told.withColumn("fraction", F.greatest(F.col("over") - F.col("extra"), F.lit(0.0))).drop("rate", "over")
+    out = copies(told, seed)
+    return out.withColumn("extra", F.col("extra") + F.round("fraction").cast("bigint")).drop("fraction"), sources
 
 
 def digest(docs: DataFrame) -> DataFrame:
-    rows, sources, _ = mixed(docs)
-    told = rows.join(checked(sources.withColumnRenamed("source", "_s"), sources.count(), 64), F.col("source").eqNullSafe(F.col("_s")))
-    return told.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"), "copies")
+    """doc_id, size, source_size, target, taken, copies: one row per row."""
+    groups, sources = mixed(docs)
+    told = groups.join(checked(sources.withColumnRenamed("source", "_s"), sources.count(), 64), F.col("source").eqNullSafe(F.col("_s")))
+    # The rows of a group are made from their number, in steps, so that no array holds a large group.
+    step = F.explode(F.sequence(F.lit(0).cast("bigint"), F.floor((F.col("n") - 1) / REPEAT))).alias("_step")
+    stepped = told.select("doc_id", "size", "source_size", "target", "n", "whole", "extra", step)
+    place = F.explode(F.sequence(F.col("_step") * REPEAT, F.least("n", (F.col("_step") + 1) * REPEAT) - 1)).alias("_place")
+    rows = stepped.select("doc_id", "size", "source_size", "target", "whole", "extra", place)
+    n_copies = F.col("whole") + (F.col("_place") < F.col("extra")).cast("bigint")
+    return rows.select("doc_id", "size", "source_size", "target", (F.col("size") * n_copies).alias("taken"), n_copies.alias("copies"))
+
+
+def places(rows: DataFrame) -> DataFrame:
+    """Adds `_place`, 0 to n-1 among the rows of a group; counted by file part, so that no group is sorted whole."""
+    rows = materialise(rows.withColumn("_row", F.monotonically_increasing_id()), "mix-repeated").withColumn("_part", F.shiftright("_row", 33))
+    counts = rows.groupBy(*ALIKE, "_part").agg(F.count(F.lit(1)).alias("_n"))
+    before = F.coalesce(F.sum("_n").over(W.partitionBy(*ALIKE).orderBy("_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    own = F.row_number().over(W.partitionBy(*ALIKE, "_part").orderBy("_row")) - 1
+    return rows.withColumn("_own", own).join(counts.select(*ALIKE, "_part", before.alias("_before")), [*ALIKE, "_part"]).withColumn("_place", F.col("_before") + F.col("_own"))
 
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = SEED) -> DataFrame:
-    """Rows of docs, all columns, each as often as the mix takes it. Rows alike in id and text count as one row here."""
-    rows, _, sizes = mixed(docs, id_col, text_col, source_col, seed)
-    taken = rows.select("_row", "copies").join(sizes.select("_row", "_id", "_text"), "_row").groupBy("_id", "_text").agg(F.max("copies").alias("copies"))
-    taken = materialise(taken, "mix-taken")
-    gone, more = taken.where("copies = 0").select("_id", "_text"), taken.where("copies > 1")
-    kept = without(docs, gone, gone.count(), id_col, text_col)
-    i, t = keys_of(id_col, text_col)
-    packed = kept.select(F.struct(*[kept[c] for c in kept.columns]).alias("row"), i, t)
-    times = packed.join(checked(more, more.count(), 56), ["_id", "_text"], "left")
-    return times.select("row", F.explode(F.sequence(F.lit(1), F.coalesce(F.col("copies"), F.lit(1)).cast("int"))).alias("_copy")).select("row.*")
+    """Rows of docs, all columns, each as often as the mix takes it."""
+    groups, _ = mixed(docs, id_col, text_col, source_col, seed)
+    groups = materialise(groups.select(*ALIKE, "n", "whole", "extra"), "mix-taken")
+    packed = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"), *alike(id_col, text_col, source_col))
+    several, odd = groups.where("n > 1"), groups.where("n = 1 and whole + extra <> 1")
+    n_several, n_odd = several.count(), odd.count()
+    single = packed.join(checked(several.select(*ALIKE), n_several, 72), ALIKE, "left_anti")
+    single = single.join(checked(odd.select(*ALIKE, (F.col("whole") + F.col("extra")).alias("_copies")), n_odd, 80), ALIKE, "left").select("row", F.coalesce("_copies", F.lit(1)).alias("_copies"))
+    repeated = places(salted_join(packed, several, ALIKE, "n", n_several, 96)).select("row", (F.col("whole") + (F.col("_place") < F.col("extra")).cast("bigint")).alias("_copies"))
+    taken = single.unionAll(repeated).where("_copies > 0")
+    return taken.select("row", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int"))).alias("_copy")).select("row.*")
 
 
 def op7_mix_pivotal(spark: SparkSession, sf_dir: str) -> DataFrame:
