@@ -5,8 +5,8 @@ endings), its pairs of neighbouring words, its pairs of words one apart, all has
 model that goes to the workers is a few kB of non-zero weights, at most 2**bits of them.
 
 Labels: rows whose label is null are left out; of several labels of one id the largest counts. The model is fitted on at most
-`max_train` labelled rows (half of each class at most, those with the smallest hash of their id); the intercept is put right
-for the share of each class that was taken. Null and empty texts have no features and get the intercept's score. Repeated rows
+`max_train` labelled rows, rows alike in id and text being one (half of each class at most, those with the smallest hash of their id
+and text); the intercept is put right for the share of each class that was taken. Null and empty texts have no features and get the intercept's score. Repeated rows
 score alike. Without any label of a class the score is the share of label 1 among the labels (0 without labels).
 """
 
@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, release_memory, short_batches, slices, worker_table
+from .common import KEPT_CHARS, documents, materialise, release_memory, short_batches, slices, worker_table
 
 WORD = re.compile(r"[^\W_]+")
 MAX_WORDS = 200_000  # of a worker's table of word hashes, before it starts anew
@@ -35,10 +35,11 @@ def word_hashes(text: str) -> np.ndarray:
     except KeyError:
         if len(known) >= MAX_WORDS:
             known.clear()
-        for w in set(words):
-            if w not in known:
-                known[w] = zlib.crc32(w.encode("utf-8", "surrogatepass")) | zlib.crc32(b"^" + w[:4].encode("utf-8", "surrogatepass")) << 32
-    return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
+        new = set(words) - known.keys()
+        found = {w: zlib.crc32(w.encode("utf-8", "surrogatepass")) | zlib.crc32(b"^" + w[:4].encode("utf-8", "surrogatepass")) << 32 for w in new}
+        known.update((w, h) for w, h in found.items() if len(w) <= KEPT_CHARS)
+        hashed = known if len(new) == sum(len(w) <= KEPT_CHARS for w in new) else known | found
+    return np.fromiter(map(hashed.__getitem__, words), np.uint64, len(words))
 
 
 def spread(x: np.ndarray, bits: int) -> np.ndarray:
@@ -120,31 +121,42 @@ def held_out(id_col: str = "doc_id", fold: int = 0, folds: int = 5) -> Column:
 def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", id_col: str = "doc_id", text_col: str = "text", max_train: int = 16_384, ftrl: FTRL | None = None) -> Model:
     """Fit on rows of docs that `labels` (id_col, label) marks. Reaches the driver: at most max_train rows of features."""
     ftrl = ftrl or FTRL()
-    marked = labels.where(F.col(label).isNotNull() & F.col(id_col).isNotNull()).groupBy(F.col(id_col).alias("_id")).agg(F.max(label).cast("int").alias("_label"))
-    count = {r["_label"]: r["count"] for r in marked.groupBy("_label").count().collect() if r["_label"] in (0, 1)}
+    marked = labels.where(F.col(label).isNotNull() & F.col(id_col).isNotNull()).groupBy(F.col(id_col).alias("_id")).agg(F.max(label).cast("int").alias("_label")).where("_label in (0, 1)")
+    count = {r["_label"]: r["count"] for r in marked.groupBy("_label").count().collect()}
     if len(count) < 2:
         share = float(next(iter(count), 0))
         return Model(ftrl.bits, np.zeros(0, np.uint32), np.zeros(0, np.float32), 35.0 if share else -35.0)
-    taken = {k: min(n, max_train // 2) for k, n in count.items()}
-    for k in (0, 1):
-        taken[k] = min(count[k], max_train - taken[1 - k])
-    first = [marked.where(F.col("_label") == k).orderBy(F.xxhash64("_id"), "_id").limit(taken[k]) for k in (0, 1)]
-    sample = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(text_col), F.lit("")).alias("_text")).join(F.broadcast(first[0].unionAll(first[1])), "_id")
+
+    def first(rows: DataFrame, have: dict[int, int], order: list) -> tuple[DataFrame, dict[int, int]]:
+        """At most max_train of rows, half of each class unless the other has fewer."""
+        share = {k: min(n, max_train // 2) for k, n in have.items()}
+        for k in (0, 1):
+            share[k] = min(have.get(k, 0), max_train - share.get(1 - k, 0))
+        parts = [rows.where(F.col("_label") == k).orderBy(*order).limit(share[k]) for k in (0, 1)]
+        return parts[0].unionAll(parts[1]), share
+
+    # Ids first, which bounds the broadcast; then the distinct texts of these ids, which bounds the rows: an id may repeat.
+    ids, _ = first(marked, count, [F.xxhash64("_id"), F.col("_id")])
+    own = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(text_col), F.lit("")).alias("_text")).withColumn("_hash", F.xxhash64("_text"))
+    pairs = materialise(own.join(F.broadcast(ids), "_id").select("_id", "_hash", "_label").distinct(), "toxic-ids")
+    have = {r["_label"]: r["count"] for r in pairs.groupBy("_label").count().collect()}
+    some, taken = first(pairs, have, [F.xxhash64("_id"), F.col("_id"), F.col("_hash")])
+    sample = own.join(F.broadcast(some), ["_id", "_hash"])
     bits = ftrl.bits
     short_batches(docs.sparkSession)
 
     def run(batches):
         for b in slices(batches, 500):
             rows = [np.unique(features(word_hashes(t), bits)).tobytes() for t in b.column(0).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary()), b.column(1), b.column(2)], names=["x", "y", "h"])
+            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary()), *b.columns[1:]], names=["x", "y", "h", "t"])
 
-    got = sample.select("_text", "_label", F.xxhash64("_id").alias("h")).mapInArrow(run, "x binary, y int, h bigint").toArrow()
+    got = sample.select("_text", "_label", F.xxhash64("_id").alias("h"), "_hash").mapInArrow(run, "x binary, y int, h bigint, t bigint").dropDuplicates(["h", "t"]).toArrow()
     rows = sorted(zip(got["h"].to_pylist(), got["x"].to_pylist(), got["y"].to_pylist(), strict=True))
     del got
     at, w, intercept = ftrl.fit([np.frombuffer(x, np.uint32) for _, x, _ in rows], [y for *_, y in rows])
     del rows
     release_memory()
-    shift = np.log(count[1] / count[0]) - np.log(taken[1] / taken[0])
+    shift = np.log(count[1] / count[0]) - np.log(taken[1] / taken[0]) if taken[0] and taken[1] else 0.0
     return Model(bits, at, w, intercept + float(shift))
 
 
