@@ -9,7 +9,6 @@ QUERIES = {
     "op2_license_diagonals": licenses.op2_license_diagonals,
     "op3_exact_dedup": exact_dedup.op3_exact_dedup,
     "op4_bm25_documents": lambda spark, sf_dir: bm25.op4_bm25_documents(spark, sf_dir).withColumn("score", F.round("score", 5)),
-    "op4_bm25_topk": lambda spark, sf_dir: bm25.op4_bm25_topk(spark, sf_dir).withColumn("score", F.round("score", 5)),
     "op5_bpe_prefix_dp": bpe.op5_bpe_prefix_dp,
     "op6_toxicity_ftrl": toxicity.op6_toxicity_ftrl,
     "op7_mix_pivotal": mixing.op7_mix_pivotal,
@@ -17,4 +16,4 @@ QUERIES = {
     "op9_simhash_gray": simhash.op9_simhash_gray,
     "op10_language_mixture": language.op10_language_mixture,
 }
-SQL = {"op3_exact_dedup": exact_dedup.OP3_SQL, "op4_bm25_topk": bm25.OP4_SQL}
+SQL = {"op3_exact_dedup": exact_dedup.OP3_SQL, "op4_bm25_documents": bm25.OP4_SQL}
