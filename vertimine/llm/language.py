@@ -7,8 +7,8 @@ smallest share is dropped as long as that costs less than its penalty (PENALTY p
 text's length). The predicted language has the largest share; the score is that share times the posterior of the text's
 best single languages where only one is left.
 
-Languages: the distinct non-null labels of the training rows; their number times 2**BITS floats are broadcast (up to
-MAX_LANGUAGES, else an error). Null texts and texts without a letter are `und` with score 0. Without training rows
+Languages: the distinct non-null labels of the training rows. The table of likelihoods has CELLS numbers at most (four bytes each,
+broadcast): the more languages, the fewer hash values a trigram may have (bits_for). Only past 2**16 labels the rarest are left out. Null texts and texts without a letter are `und` with score 0. Without training rows
 every text is `und`. Other columns are ignored; repeated rows are predicted alike.
 """
 
@@ -21,12 +21,21 @@ from pyspark.sql import functions as F
 
 from .common import documents, short_batches, slices
 
-BITS, UNIT, ROUNDS, PENALTY, MAX_LANGUAGES = 16, 24, 6, 2.0, 256
+UNIT, ROUNDS, PENALTY = 24, 6, 2.0
+#: Most and fewest bits of a trigram's hash, numbers in the table of likelihoods, and tables of counts that a task holds at once.
+BITS, LEAST_BITS, CELLS, HELD = 16, 8, 1 << 24, 64
+#: Bytes of text that are predicted at once, and trigrams whose likelihoods are looked up at once, both for one language.
+PREDICT_BYTES, LOOKUPS = 4 << 20, 1 << 20
 #: ASCII upper to lower case, and all bytes that are no letters in ASCII to a blank.
 FOLD = np.array([i + 32 if 65 <= i <= 90 else i if 97 <= i <= 122 or i >= 128 else 32 for i in range(256)], np.uint8)
 
 
-def trigrams(text: bytes) -> np.ndarray:
+def bits_for(n_languages: int) -> int:
+    """Bits of a trigram's hash, so that the table for so many languages keeps to CELLS."""
+    return max(LEAST_BITS, min(BITS, (CELLS // max(1, n_languages)).bit_length() - 1))
+
+
+def trigrams(text: bytes, bits: int = BITS) -> np.ndarray:
     """Hashed trigrams of folded bytes; runs of blanks count once; a blank stands before and after."""
     b = FOLD[np.frombuffer(text, np.uint8)]
     # Upper-case letters of two bytes in the Latin supplement (U+00C0 to U+00DE) to lower case.
@@ -41,7 +50,7 @@ def trigrams(text: bytes) -> np.ndarray:
         b = b[1:]
     h = b[:-2] * np.uint32(0x9E3779B1) ^ b[1:-1] * np.uint32(0x85EBCA77) ^ b[2:] * np.uint32(0xC2B2AE3D)
     h ^= h >> np.uint32(15)
-    return (h * np.uint32(0x2C1B3C6D)) >> np.uint32(32 - BITS)
+    return (h * np.uint32(0x2C1B3C6D)) >> np.uint32(32 - bits)
 
 
 def has_letter(text: str) -> bool:
@@ -53,31 +62,45 @@ def train(docs: DataFrame, text_col: str = "text", lang_col: str = "lang") -> tu
     rows = docs.where(F.col(text_col).isNotNull() & F.col(lang_col).isNotNull()).select(F.col(text_col).alias("t"), F.col(lang_col).cast("string").alias("l"))
     short_batches(docs.sparkSession)
 
+    labels = rows.groupBy("l").count().orderBy(F.col("count").desc(), "l").limit(CELLS >> LEAST_BITS).collect()  # names only
+    names = sorted(r["l"] for r in labels)
+    bits, place = bits_for(len(names)), {x: i for i, x in enumerate(names)}
+
     def run(batches):
-        total: dict[str, np.ndarray] = {}
+        total: dict[int, np.ndarray] = {}
+
+        def flush():
+            for lang, n in total.items():
+                at = np.flatnonzero(n)
+                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.int32()), pa.array(at.astype(np.int32)), pa.array(n[at])], names=["l", "g", "n"])
+            total.clear()
+
         for b in slices(batches, 500):
             for t, lang in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                if lang not in total:
-                    if len(total) >= MAX_LANGUAGES:
-                        raise ValueError(f"more than {MAX_LANGUAGES} languages")
-                    total[lang] = np.zeros(1 << BITS, np.int64)
-                total[lang] += np.bincount(trigrams(t.encode("utf-8", "surrogatepass")), minlength=1 << BITS)
-        for lang, n in total.items():
-            at = np.flatnonzero(n)
-            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.string()), pa.array(at.astype(np.int32)), pa.array(n[at])], names=["l", "g", "n"])
-
-    counts = rows.mapInArrow(run, "l string, g int, n bigint").groupBy("l", "g").agg(F.sum("n").alias("n")).toArrow()
-    names = sorted(set(counts["l"].to_pylist()))
-    if len(names) > MAX_LANGUAGES:
-        raise ValueError(f"more than {MAX_LANGUAGES} languages")
-    table = np.zeros((1 << BITS, max(1, len(names))))
-    place = {x: i for i, x in enumerate(names)}
-    if names:
-        np.add.at(table, (counts["g"].to_numpy(), [place[x] for x in counts["l"].to_pylist()]), counts["n"].to_numpy())
+                at = place.get(lang)
+                if at is None:
+                    continue
+                if at not in total:
+                    if len(total) >= HELD:
+                        yield from flush()
+                    total[at] = np.zeros(1 << bits, np.int64)
+                total[at] += np.bincount(trigrams(t.encode("utf-8", "surrogatepass"), bits), minlength=1 << bits)
+        yield from flush()
+
+    counts = rows.mapInArrow(run, "l int, g int, n bigint").groupBy("l", "g").agg(F.sum("n").alias("n")).toArrow()  # CELLS rows at most
+    table = np.zeros((1 << bits, max(1, len(names))))
+    table[counts["g"].to_numpy(), counts["l"].to_numpy()] = counts["n"].to_numpy()
     table += 0.1
     return names, np.log(table / table.sum(0)).astype(np.float32)
 
 
+def units_of(table: np.ndarray, grams: np.ndarray, cuts: np.ndarray) -> np.ndarray:
+    """Log likelihoods [unit, language] of units that start at `cuts`; looked up a bounded number of trigrams at a time."""
+    step = max(1, LOOKUPS // table.shape[1] // UNIT)
+    ends = np.r_[cuts[1:], len(grams)]
+    return np.concatenate([np.add.reduceat(table[grams[cuts[s] : ends[min(len(cuts), s + step) - 1]]], cuts[s : s + step] - cuts[s], axis=0) for s in range(0, len(cuts), step)])
+
+
 def mixture(units: np.ndarray, first: np.ndarray, n_units: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """EM and selection for many texts at once. units: log likelihoods [unit, language]; text i has n_units[i] units from
     first[i] on, at least one. Returns shares [text, language] (0 for languages not in the set) and the single-language totals."""
@@ -128,18 +151,19 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], keep: list[Col
 
     def run(batches):
         names, table = sent.value
-        for b in slices(batches, 250):
+        bits = bits_for(len(names))
+        for b in slices(batches, 250, max(1 << 12, PREDICT_BYTES // max(1, len(names)))):
             texts = b.column(0).to_pylist()
             pred, score = ["und"] * len(texts), np.zeros(len(texts))
             mixed: list[list] = [[] for _ in texts]
             some = [i for i, t in enumerate(texts) if names and t and has_letter(t)]
             if some:
-                grams = [trigrams(texts[i].encode("utf-8", "surrogatepass")) for i in some]
+                grams = [trigrams(texts[i].encode("utf-8", "surrogatepass"), bits) for i in some]
                 size = np.array([len(g) for g in grams])
                 n_units = -(-size // UNIT)
                 first = np.cumsum(n_units) - n_units
                 cuts = np.repeat(np.cumsum(size) - size, n_units) + (np.arange(n_units.sum()) - np.repeat(first, n_units)) * UNIT
-                units = np.add.reduceat(table[np.concatenate(grams)], cuts, axis=0)
+                units = units_of(table, np.concatenate(grams), cuts)
                 share, singles = mixture(units, first, n_units)
                 best = share.argmax(1)
                 # Where one language is left the share says nothing more; how much likelier it is than the others does.
