@@ -21,7 +21,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, short_batches, slices, worker_table
+from .common import KEPT_CHARS, documents, short_batches, slices, worker_table
 
 #: Entries of a worker's piece table and pair table before they start anew; bounds memory, not results.
 MAX_PIECES, MAX_PAIRS = 200_000, 300_000
@@ -104,24 +104,30 @@ class PrefixBPE:
                     return False
         return True
 
-    def extend(self, data: bytes, last: list[int], start: int) -> list[int]:
-        """The prefix table of data, given that of its first `start` bytes: last[i] is the last token of data[:i + 1]."""
-        n, step, ends, pairs = len(data), self.step, self.ends, self.pairs
-        last = last[:start] + [-1] * (n - start)
-        longest = self.longest
-        for i in range(max(0, start - longest), n):
-            before = last[i - 1] if i else -1
+    def extend(self, data, last: list[int], start: int, offset: int = 0, stop: int | None = None) -> None:
+        """Fills the prefix table up to `stop`: last[i - offset] becomes the last token of data[:i + 1], for i from `start` on.
+
+        Entries before `start` must be right, those of a longest token's length at least; `last` grows in place."""
+        n, step, ends, pairs = len(data) if stop is None else stop, self.step, self.ends, self.pairs
+        last += [-1] * (n - offset - len(last))
+        for i in range(max(0, offset, start - self.longest), n):
+            if i > offset:
+                before = last[i - 1 - offset]
+            elif i:
+                continue  # what ends here was entered when the part left of it was filled
+            else:
+                before = -1
             node = 0
             for j in range(i, n):
                 node = step.get(node << 8 | data[j])
                 if node is None:
                     break
                 t = ends[node]
-                if t is None or last[j] >= 0:
+                if t is None or last[j - offset] >= 0:
                     continue
                 if before < 0:
                     if self.reachable(t):
-                        last[j] = t
+                        last[j - offset] = t
                     continue
                 key = before << 24 | t
                 ok = pairs.get(key)
@@ -130,8 +136,7 @@ class PrefixBPE:
                         pairs.clear()
                     ok = pairs[key] = self.reachable(t) and self.apart(before, t)
                 if ok:
-                    last[j] = t
-        return last
+                    last[j - offset] = t
 
     @property
     def longest(self) -> int:
@@ -201,11 +206,12 @@ class PrefixBPE:
             pass
         if len(known) >= MAX_PIECES:
             known.clear()
+        long: dict[str, bytes] = {}
         for p in set(pieces):
             if p not in known:
                 ids = self.encode_piece(p.encode())
-                known[p] = struct.pack(f"<{len(ids)}I", *ids)
-        return b"".join(map(known.__getitem__, pieces))
+                (known if len(p) <= KEPT_CHARS else long)[p] = struct.pack(f"<{len(ids)}I", *ids)
+        return b"".join([known[p] if p in known else long[p] for p in pieces] if long else map(known.__getitem__, pieces))
 
     def encode(self, text: str) -> list[int]:
         return np.frombuffer(self.encode_bytes(text), "<u4").tolist()
@@ -215,30 +221,34 @@ class PrefixBPE:
 
 
 class PrefixTable:
-    """One piece with its prefix table: exact ids after appends and edits, at the cost of what changed."""
+    """One piece with its prefix table: exact ids after appends and edits. Only what changed is encoded anew, in place; an edit
+    moves the bytes and entries after it where its length changes."""
 
     def __init__(self, bpe: PrefixBPE, data: bytes = b""):
-        self.bpe, self.data, self.last = bpe, data, bpe.extend(data, [], 0)
+        self.bpe, self.data, self.last = bpe, bytearray(data), []
+        bpe.extend(self.data, self.last, 0)
 
     def append(self, more: bytes) -> PrefixTable:
-        self.data, n = self.data + more, len(self.data)
-        self.last = self.bpe.extend(self.data, self.last, n)
+        start = len(self.data)
+        self.data += more
+        self.bpe.extend(self.data, self.last, start)
         return self
 
     def replace(self, start: int, end: int, by: bytes) -> PrefixTable:
         """Put `by` in place of bytes start to end. Left of the edit the table stands; right of it, it is kept again once
         the new last tokens agree with the old ones over a longest token's length."""
-        new, shift, keep = self.data[:start] + by + self.data[end:], len(by) - (end - start), self.bpe.longest
-        last, at = self.last[:start], start
-        while at < len(new):
-            upto = min(len(new), max(at, start + len(by)) + 4 * keep)
-            last = self.bpe.extend(new[:upto], last, at)
+        keep, shift = self.bpe.longest, len(by) - (end - start)
+        self.data[start:end] = by
+        n, offset = len(self.data), max(0, start - keep - 1)
+        new, at = self.last[offset:start], start
+        while at < n:
+            upto = min(n, max(at, start + len(by)) + 2 * keep)
+            self.bpe.extend(self.data, new, at, offset, upto)
             at = upto
             tail = at - keep
-            if tail >= start + len(by) and at < len(new) and last[tail:at] == self.last[tail - shift : at - shift]:
-                last += self.last[at - shift :]
+            if tail >= start + len(by) and at < n and new[tail - offset :] == self.last[tail - shift : at - shift]:
                 break
-        self.data, self.last = new, last
+        self.last[offset : at - shift if at < n else len(self.last)] = new
         return self
 
     def ids(self) -> list[int]:
