@@ -1,18 +1,21 @@
 """SimHash near-duplicates with a Gray-order hierarchical index for the Hamming join.
 
-Fingerprints that differ in at most `distance` bits agree in distance + 2 blocks less `distance` of them at least: each distinct
-fingerprint is dealt once for every pair of blocks (with four blocks of 16 bits: six times) to the task that owns those bits.
-A task sorts its fingerprints by Gray rank, so that neighbours share most bits, and builds upper nodes over runs of them: a
-node holds the bits that all below it share (mask and pattern). Two nodes are compared by the shared bits in which they
-differ; beyond the distance the whole pair of groups is pruned, else the differences are taken further down.
+Fingerprints that differ in at most `distance` bits agree in one of distance + 1 blocks of bits at least. Each distinct fingerprint is dealt once for
+each block, turned so that the block leads, and the turned fingerprints are ranged by Gray rank: a task owns a range of leading blocks. It sorts
+what it has by Gray rank, so that neighbours share most bits, and factors the shared bits (mask and pattern) of runs of FAN neighbours into upper
+nodes, up to a single root. The join starts with the root against itself and goes down: of two nodes, the bits that both have fixed are compared, a
+difference in the leading block or more than `distance` accumulated differences prune the two groups as a whole, and only newly fixed bits are
+counted on the next level. A leading block that more than TASK_ROWS fingerprints share is cut into parts, of which every two meet in a task.
 Each task sends on only a spanning forest of its links, which loses no connection; components are found by alternating
 star contractions with tables on shared files between the rounds.
 
 Rows with one fingerprint are one node however many they are. Null and empty texts have fingerprint zero, linked like any
 other. Ids may be null (never a component's id unless all of it are null) or repeat. Empty tables give empty results.
 
-The pipeline's stage `near_copies` (`keep_unlike`) links by content instead: two texts are near copies if their sets of five-word shingles have a
-Jaccard similarity of 0.8 at least. Its candidate search leaves out no such pair. In any fixed order of all shingles, the first
+`keep_one`, the pipeline's stage, links texts whose sets of five-word shingles have a Jaccard similarity of 0.8 at least. Fingerprints of such texts may be
+ten bits apart and more, beyond what any index of 64 bits finds without loss. So the SimHash index goes first: what it links (and texts of one
+fingerprint) is checked on the whole sets and connected. Then a complete search goes over what is not connected yet. In any fixed order
+of all shingles, the first
 fifth (and one) of two such sets have a shingle in common; the order is by falling rarity, from a table of counts by hash, so
 that common lines come last. Candidates are checked on the whole sets. Within the texts that have a first shingle in common,
 some pivots are compared with all others first, then more of them, but only with texts not yet connected with the pivot, until
@@ -21,7 +24,7 @@ each pair is compared or connected: a large group of copies costs pairs in propo
 
 from __future__ import annotations
 
-from itertools import accumulate, combinations
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -31,10 +34,10 @@ from pyspark.sql import functions as F
 
 from .common import checked, documents, keys_of, materialise, salted_join, short_batches, slices, without
 
-BLOCKS, FAN, CHUNK = 4, 8, 100_000
-#: Dealt fingerprints a task takes in the Hamming join (24 bytes each).
+FAN, CHUNK = 8, 100_000
+#: Dealt fingerprints a task takes in the Hamming join (24 bytes each), about.
 TASK_ROWS = 1_000_000
-#: Of keep_unlike: words of a shingle, least Jaccard similarity as a fraction, pivots of the first round.
+#: Of keep_one: words of a shingle, least Jaccard similarity as a fraction, pivots of the first round.
 SHINGLE, SIMILAR, FIRST_PIVOTS = 5, (4, 5), 16
 #: Counters of shingles, by the leading bits of their hashes, and rows in which a task sends them.
 COUNTERS, SECTIONS, COUNTER_SHIFT = 1 << 20, 16, np.uint64(44)
@@ -83,13 +86,19 @@ def gray_rank(x: np.ndarray) -> np.ndarray:
     return x
 
 
+def turned(fp: np.ndarray, bits: int | np.ndarray) -> np.ndarray:
+    """Each value's bits moved up by `bits`, the leading ones to the end."""
+    bits = np.broadcast_to(np.asarray(bits, np.uint64), fp.shape)
+    return fp << bits | np.where(bits > 0, fp >> (np.uint64(64) - np.maximum(bits, np.uint64(1))), np.uint64(0))
+
+
 class GrayIndex:
-    """Groups of fingerprints (group numbers ascend) in Gray order with mask-and-pattern nodes above them."""
+    """Groups of values (group numbers ascend) in Gray order with mask-and-pattern nodes above them, up to one root a group."""
 
     def __init__(self, group: np.ndarray, fp: np.ndarray, fan: int = FAN):
         self.fp, self.fan = fp, fan
         start = np.flatnonzero(np.r_[True, group[1:] != group[:-1]]) if len(fp) else np.zeros(0, np.int64)
-        #: Per level: pattern, mask, first child, end of children. Level 0: the fingerprints.
+        #: Per level: pattern, mask, first child, end of children. Level 0: the values.
         self.levels = [(fp, np.full(len(fp), ~np.uint64(0)), None, None)]
         every, some, own = fp, fp, group
         while len(own) > len(start):
@@ -100,19 +109,24 @@ class GrayIndex:
             every, some, own = np.bitwise_and.reduceat(every, low), np.bitwise_or.reduceat(some, low), own[low]
             self.levels.append((every, every | ~some, low, np.r_[low[1:], len(place)]))
 
-    def links(self, distance: int):
-        """Yields arrays (i, j), i < j, of positions within one group at most `distance` bits apart."""
+    def links(self, distance: int, lead: np.ndarray | None = None):
+        """Yields arrays (i, j), i < j, of positions within one group at most `distance` bits apart. lead: bits of each root's group that must agree."""
+        self.compared = 0
         top = len(self.levels) - 1
         n = len(self.levels[top][0])
-        stack = [(top, np.arange(s, min(n, s + CHUNK)), np.arange(s, min(n, s + CHUNK))) for s in range(0, n, CHUNK)]
+        lead = np.zeros(n, np.uint64) if lead is None else lead
+        everyone = np.arange(n)
+        # Level, the two nodes, the root, and the differences among the bits that both nodes have fixed.
+        stack = [(top, everyone[s : s + CHUNK], everyone[s : s + CHUNK], everyone[s : s + CHUNK], np.zeros(len(everyone[s : s + CHUNK]), np.uint8)) for s in range(0, n, CHUNK)]
         while stack:
-            level, a, b = stack.pop()
+            level, a, b, root, differ = stack.pop()
             if level == 0:
                 if len(a):
                     yield a, b
                 continue
-            _, _, low, end = self.levels[level]
+            _, above, low, end = self.levels[level]
             pattern, mask, _, _ = self.levels[level - 1]
+            known = above[a] & above[b]
             na, nb = end[a] - low[a], end[b] - low[b]
             for s in range(0, len(a), max(1, CHUNK // self.fan)):
                 cut = slice(s, s + max(1, CHUNK // self.fan))
@@ -121,9 +135,12 @@ class GrayIndex:
                 at = np.arange(total.sum()) - np.repeat(np.cumsum(total) - total, total)
                 x, y = low[a[cut]][k] + at // nb[cut][k], low[b[cut]][k] + at % nb[cut][k]
                 good = (x < y) if level == 1 else (x <= y)
-                x, y = x[good], y[good]
-                near = np.bitwise_count((pattern[x] ^ pattern[y]) & mask[x] & mask[y]) <= distance
-                stack.append((level - 1, x[near], y[near]))
+                x, y, k = x[good], y[good], k[good]
+                self.compared += len(x)
+                new = (pattern[x] ^ pattern[y]) & mask[x] & mask[y] & ~known[cut][k]
+                so_far = differ[cut][k] + np.bitwise_count(new)
+                near = (so_far <= distance) & (new & lead[root[cut][k]] == 0)
+                stack.append((level - 1, x[near], y[near], root[cut][k][near], so_far[near]))
 
 
 def forest(n: int, pairs) -> np.ndarray:
@@ -142,47 +159,54 @@ def forest(n: int, pairs) -> np.ndarray:
     return parent
 
 
-def near_links(distinct: DataFrame, n: int, distance: int = 2) -> DataFrame:
-    """Links (a, b) over distinct fingerprints `fp`: a spanning forest of each task's links of at most `distance` bits."""
-    if distance > BLOCKS - 2:
-        raise ValueError(f"distance {distance} needs more than {BLOCKS} blocks")
-    width = 64 // BLOCKS
-    combos = list(combinations(range(BLOCKS), 2))
+def gray_column(x, bits: int):
+    """Gray rank of a column of numbers of so many bits."""
+    s = 1
+    while s < bits:
+        x = x.bitwiseXOR(F.shiftright(x, s))
+        s *= 2
+    return x
 
-    def part(block: int):
-        return F.shiftrightunsigned("fp", 64 - width * (block + 1)).bitwiseAND((1 << width) - 1)
 
-    keys = F.array(*[F.shiftleft(part(a), width).bitwiseOR(part(b)) for a, b in combos])
-    dealt = distinct.select("fp", F.posexplode(keys).alias("combo", "bits"))
+def near_links(distinct: DataFrame, n: int, distance: int = 2) -> DataFrame:
+    """Links (a, b) over distinct fingerprints `fp`: a spanning forest of each task's links of at most `distance` bits."""
+    cuts = [64 * k // (distance + 1) for k in range(distance + 2)]
+    width = [b - a for a, b in zip(cuts, cuts[1:])]
+    blocks = F.array(*[gray_column(F.shiftrightunsigned("fp", 64 - cuts[k + 1]).bitwiseAND((1 << width[k]) - 1), width[k]) for k in range(len(width))])
+    dealt = distinct.select("fp", F.posexplode(blocks).alias("block", "rank"))
     conf = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = dealt.repartition(max(conf, n * len(combos) // TASK_ROWS), "combo", "bits")
+    parts = max(conf, n * len(width) // TASK_ROWS)
+    keys = ["block", "rank", "i", "j"]
+    dealt = dealt.withColumns({"i": F.lit(0), "j": F.lit(0)})
+    if n > TASK_ROWS:  # only then a leading block can have that many
+        hot = dealt.groupBy("block", "rank").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > TASK_ROWS).select("block", "rank", F.ceil(F.col("n") / TASK_ROWS).cast("int").alias("parts"))
+        hot = materialise(hot, "hot-blocks")  # n * blocks / TASK_ROWS rows at most
+        if not hot.isEmpty():
+            own = F.pmod(F.xxhash64("fp"), F.col("parts")).cast("int")
+            met = dealt.drop("i", "j").join(checked(hot, n * len(width) // TASK_ROWS, 24), ["block", "rank"], "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+            met = met.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+            dealt = met.select("fp", "block", "rank", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+    dealt = dealt.repartitionByRange(parts, *keys)
 
     def run(batches):
-        got = [(b.column(0).to_numpy(), b.column(1).to_numpy(), b.column(2).to_numpy()) for b in batches if b.num_rows]
+        got = [[b.column(c).to_numpy() for c in range(4)] for b in batches if b.num_rows]
         if not got:
             return
-        fp, combo, bits = (np.concatenate(x) for x in zip(*got))
+        fp, block, i, j = (np.concatenate(x) for x in zip(*got))
         del got
-        fp, group = fp.view(np.uint64), combo.astype(np.int64) << 32 | bits
-        _, group, size = np.unique(group, return_inverse=True, return_counts=True)
-        some = size[group] > 1
-        fp, group, combo = fp[some], group[some], combo[some]
-        if not len(fp):
-            return
-        # The blocks a group shares go first: they are the index's upper levels.
-        moved = np.zeros_like(fp)
-        for c, (a, b) in enumerate(combos):
-            here = combo == c
-            for to, block in enumerate([a, b, *[x for x in range(BLOCKS) if x not in (a, b)]]):
-                moved[here] |= (fp[here] >> np.uint64(64 - width * (block + 1)) & np.uint64((1 << width) - 1)) << np.uint64(64 - width * (to + 1))
-        order = np.lexsort((gray_rank(moved), group))
-        fp, group = fp[order], group[order]
-        parent = forest(len(fp), GrayIndex(group, moved[order]).links(distance))
-        own = np.flatnonzero(parent != np.arange(len(fp)))
-        a, b = fp[own].view(np.int64), fp[parent[own]].view(np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
-
-    return dealt.select("fp", F.col("combo").cast("long"), F.col("bits").cast("long")).mapInArrow(run, "a bigint, b bigint").distinct()
+        value = turned(fp.view(np.uint64), np.array(cuts[:-1])[block])
+        order = np.lexsort((gray_rank(value), j, i, block))
+        value, block, i, j = value[order], block[order], i[order], j[order]
+        group = np.cumsum(np.r_[False, (block[1:] != block[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])])
+        first = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
+        lead = np.array([~np.uint64(0) << np.uint64(64 - w) for w in width], np.uint64)[block[first]]
+        parent = forest(len(value), GrayIndex(group, value).links(distance, lead))
+        own = np.flatnonzero(parent != np.arange(len(value)))
+        back = np.array([(64 - c) % 64 for c in cuts[:-1]])
+        a, b = turned(value[own], back[block[own]]), turned(value[parent[own]], back[block[own]])
+        yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["a", "b"])
+
+    return dealt.select("fp", F.col("block").cast("long"), F.col("i").cast("long"), F.col("j").cast("long")).mapInArrow(run, "a bigint, b bigint").distinct()
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -234,6 +258,13 @@ def classify(docs: DataFrame, shingle: int = 3, distance: int = 2, id_col: str =
     return grouped(rows, distance).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def bits_of(digests: np.ndarray) -> int:
+    """SimHash of 64-bit hashes: each bit set if set in over half of them."""
+    places = digests.astype(">u8").view(np.uint8).reshape(-1, 8) + np.arange(0, 2048, 256)
+    ones = np.einsum("pv,vb->pb", np.bincount(places.ravel(), minlength=2048).reshape(8, 256), BYTE_BITS)
+    return int.from_bytes(np.packbits(ones.ravel() * 2 > len(digests)).tobytes(), "big")
+
+
 def shingles(text: str | None, shingle: int = SHINGLE, seed: int = 42) -> np.ndarray:
     """The set of hashes of the text's shingles, ascending; a text of fewer words is one shingle, none is the empty set."""
     words = text.encode("utf-8", "surrogatepass").lower().split() if text else []
@@ -253,16 +284,18 @@ def alike(a: np.ndarray, b: np.ndarray) -> bool:
 
 
 def shingle_sets(docs: DataFrame, shingle: int, id_col: str, text_col: str, more: list) -> DataFrame:
-    """doc_id, `more` columns, fp (a hash of the set: equal sets are one node), shingles (eight bytes each)."""
+    """doc_id, `more` columns, fp (a hash of the set: equal sets are one node), sim (its SimHash), shingles (eight bytes each)."""
     source = docs.select(F.col(text_col).alias("_whole_text"), F.col(id_col).alias("doc_id"), *more)
     short_batches(docs.sparkSession)
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in source.schema[1:]) + ", fp bigint, shingles binary"
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in source.schema[1:]) + ", fp bigint, sim bigint, shingles binary"
 
     def run(batches):
         for b in slices(batches, 200):
-            sets = [shingles(t, shingle).tobytes() for t in b.column(0).to_pylist()]
+            found = [shingles(t, shingle) for t in b.column(0).to_pylist()]
+            sim = np.array([bits_of(x) for x in found], np.uint64).view(np.int64)
+            sets = [x.tobytes() for x in found]
             fp = np.array([xxhash.xxh64_intdigest(x, 7) for x in sets], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(fp), pa.array(sets, pa.binary())], names=[*b.schema.names[1:], "fp", "shingles"])
+            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(fp), pa.array(sim), pa.array(sets, pa.binary())], names=[*b.schema.names[1:], "fp", "sim", "shingles"])
 
     return source.mapInArrow(run, schema)
 
@@ -359,11 +392,24 @@ def pivot_pairs(members: DataFrame, pivots: int) -> DataFrame:
     return members.select("key", "fp", "n", "comp").repartition(parts, "key").mapInArrow(run, "a bigint, b bigint").distinct()
 
 
-def similar_links(sets: DataFrame) -> DataFrame:
-    """Links (a, b) that connect all sets (fp, shingles; on shared files) with a Jaccard similarity of SIMILAR at least."""
+def simhash_pairs(sets: DataFrame, distance: int) -> DataFrame:
+    """(a, b): what the SimHash index proposes: each set with the first one of its own fingerprint, and the first ones of linked fingerprints."""
+    nodes = materialise(sets.groupBy("fp").agg(F.first("sim").alias("sim")), "near-nodes")
+    firsts = materialise(nodes.groupBy("sim").agg(F.min("fp").alias("first"), F.count(F.lit(1)).alias("n")), "near-sims")
+    n_sims = firsts.count()
+    own = salted_join(nodes, firsts.where("n > 1"), ["sim"], "n", n_sims, 32).select(F.col("first").alias("a"), F.col("fp").alias("b"))
+    links = near_links(firsts.select(F.col("sim").alias("fp")), n_sims, distance)
+    left, right = (firsts.select(F.col("sim").alias(x), F.col("first").alias(f"first_{x}")) for x in "ab")
+    far = links.join(checked(left, n_sims, 24), "a").join(checked(right, n_sims, 24), "b").select(F.col("first_a").alias("a"), F.col("first_b").alias("b"))
+    return own.unionAll(far).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def similar_links(sets: DataFrame, distance: int = 2) -> DataFrame:
+    """Links (a, b) that connect all sets (fp, sim, shingles; on shared files) with a Jaccard similarity of SIMILAR at least."""
     members = materialise(first_shingles(sets), "near-members")
     largest = members.agg(F.max("m")).first()[0] or 0
-    nodes = members.select("fp").distinct()
+    proposed = materialise(simhash_pairs(sets.select("fp", "sim"), distance), "near-pairs")
+    nodes = members.select("fp").unionAll(proposed.select("a")).unionAll(proposed.select("b")).distinct()
     whole = materialise(sets.select("fp", "shingles").join(nodes, "fp", "left_semi").dropDuplicates(["fp"]), "near-sets")
     n_bytes = whole.agg(F.sum(F.length("shingles") + 64)).first()[0] or 0
 
@@ -372,19 +418,19 @@ def similar_links(sets: DataFrame) -> DataFrame:
             good = [alike(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)) for x, y in zip(b.column(2), b.column(3))]
             yield pa.RecordBatch.from_arrays(b.columns[:2], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    found, roots, pivots, before = None, None, FIRST_PIVOTS, 1
-    while before < largest:
-        some = members.where(F.col("m") > before)  # smaller groups have been compared whole
-        some = some.withColumn("comp", F.col("fp")) if roots is None else some.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").withColumn("comp", F.coalesce("root", "fp"))
-        pairs = materialise(pivot_pairs(some, pivots), "near-pairs")
+    def checked_pairs(pairs: DataFrame) -> DataFrame:
         left, right = (whole.select(F.col("fp").alias(x), F.col("shingles").alias(f"set_{x}")) for x in "ab")
         both = pairs.join(checked(left, n_bytes, 1), "a").join(checked(right, n_bytes, 1), "b").select("a", "b", "set_a", "set_b")
-        good = materialise(both.mapInArrow(run, "a bigint, b bigint"), "near-links")
-        found = good if found is None else found.unionAll(good)
+        return materialise(both.mapInArrow(run, "a bigint, b bigint"), "near-links")
+
+    found, pivots, before = checked_pairs(proposed), FIRST_PIVOTS, 1
+    while before < largest:
+        roots = materialise(components(found), "near-roots")
+        some = members.where(F.col("m") > before)  # smaller groups have been compared whole
+        some = some.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").withColumn("comp", F.coalesce("root", "fp"))
+        found = found.unionAll(checked_pairs(materialise(pivot_pairs(some, pivots), "near-pairs")))
         before, pivots = pivots, pivots * 8
-        if before < largest:
-            roots = materialise(components(found), "near-roots")
-    return found if found is not None else whole.select(F.col("fp").alias("a"), F.col("fp").alias("b")).limit(0)
+    return found
 
 
 def first_of_each(docs: DataFrame, told: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -401,17 +447,10 @@ def first_of_each(docs: DataFrame, told: DataFrame, id_col: str, text_col: str)
     return without(docs, gone, gone.count(), id_col, text_col)
 
 
-def keep_one(docs: DataFrame, shingle: int = 3, distance: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows of docs that stay where fingerprints at most `distance` bits apart are linked."""
-    rows = materialise(fingerprints(docs, shingle, id_col, text_col, keys_of(id_col, text_col)), "simhash")
-    told = grouped(rows, distance).select("_id", "_text", "doc_id", "component_id", "fp")
-    return first_of_each(docs, told, id_col, text_col)
-
-
-def keep_unlike(docs: DataFrame, shingle: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows of docs that stay where all texts with a Jaccard similarity of SIMILAR at least are linked."""
+def keep_one(docs: DataFrame, shingle: int = SHINGLE, distance: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Rows of docs, all columns, that stay: one text of each component, where all texts with a Jaccard similarity of SIMILAR at least are linked."""
     rows = materialise(shingle_sets(docs, shingle, id_col, text_col, keys_of(id_col, text_col)), "shingle-sets")
-    told = grouped(rows.drop("shingles"), links=similar_links(rows)).select("_id", "_text", "doc_id", "component_id", "fp")
+    told = grouped(rows.drop("shingles", "sim"), links=similar_links(rows, distance)).select("_id", "_text", "doc_id", "component_id", "fp")
     return first_of_each(docs, told, id_col, text_col)
 
 
