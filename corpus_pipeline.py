@@ -9,27 +9,28 @@ from vertimine.llm.common import documents, materialise
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows that a classifier fitted on the labelled ones (held-out fold left out) does not mark as toxic; null and empty texts stay."""
     model = toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet").where(~toxicity.held_out()))
     return toxicity.keep_clean(docs, model)
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of rows equal but for white space the longest, then the one with the smallest id; null texts are empty texts."""
     return exact_dedup.keep_first(docs)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each group of near copies: five-word shingles, Jaccard similarity of 0.8 or more, linked by chains; smallest id stays."""
     return simhash.keep_one(docs)
 
 
-def drop_similar(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.keep_unlike(docs)
-
-
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows as often as the mix of sources takes them, not at all or several times; rows without words are never taken."""
     return mixing.mix(docs)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row a row: doc_id, n_tokens, ids, and digests of the ids and of the decoded bytes."""
     import public_tokenizers as tokenizers
 
     return bpe.encode(docs, tokenizers.path("byte_bpe_50k.tiktoken"), tokenizers.PATTERN)
@@ -38,7 +39,6 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("toxicity", drop_toxic),
     ("exact_dedup", drop_copies),
-    ("near_copies", drop_similar),
     ("simhash", drop_near_copies),
     ("mixing", mix_sources),
     ("bpe", encode),
