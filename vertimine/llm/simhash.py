@@ -283,90 +283,102 @@ def alike(a: np.ndarray, b: np.ndarray) -> bool:
     return both * SIMILAR[1] >= (len(a) + len(b) - both) * SIMILAR[0]
 
 
+def node_of(shingles_: np.ndarray) -> int:
+    """A hash of the set: equal sets are one node."""
+    return xxhash.xxh64_intdigest(shingles_.tobytes(), 7)
+
+
 def shingle_sets(docs: DataFrame, shingle: int, id_col: str, text_col: str, more: list) -> DataFrame:
-    """doc_id, `more` columns, fp (a hash of the set: equal sets are one node), sim (its SimHash), shingles (eight bytes each)."""
+    """doc_id, `more` columns, fp (the set's node), sim (its SimHash). The sets themselves, larger than the texts, are made anew where they are needed."""
     source = docs.select(F.col(text_col).alias("_whole_text"), F.col(id_col).alias("doc_id"), *more)
     short_batches(docs.sparkSession)
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in source.schema[1:]) + ", fp bigint, sim bigint, shingles binary"
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in source.schema[1:]) + ", fp bigint, sim bigint"
 
     def run(batches):
         for b in slices(batches, 200):
             found = [shingles(t, shingle) for t in b.column(0).to_pylist()]
             sim = np.array([bits_of(x) for x in found], np.uint64).view(np.int64)
-            sets = [x.tobytes() for x in found]
-            fp = np.array([xxhash.xxh64_intdigest(x, 7) for x in sets], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(fp), pa.array(sim), pa.array(sets, pa.binary())], names=[*b.schema.names[1:], "fp", "sim", "shingles"])
+            fp = np.array([node_of(x) for x in found], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(fp), pa.array(sim)], names=[*b.schema.names[1:], "fp", "sim"])
 
     return source.mapInArrow(run, schema)
 
 
-def shingle_counts(sets: DataFrame) -> np.ndarray:
-    """How many shingles fall on each of COUNTERS hash ranges; the table (four bytes each) reaches the driver."""
+def shingle_counts(texts: DataFrame, shingle: int) -> np.ndarray:
+    """How many shingles of the texts (one column) fall on each of COUNTERS hash ranges; the table (four bytes each) reaches the driver."""
 
     def count(batches):
         total = np.zeros(COUNTERS, np.uint32)
-        for b in batches:
-            for x in b.column(0):
-                np.add.at(total, np.frombuffer(x.as_buffer(), np.uint64) >> COUNTER_SHIFT, 1)
+        for b in slices(batches, 200):
+            for t in b.column(0).to_pylist():
+                np.add.at(total, shingles(t, shingle) >> COUNTER_SHIFT, 1)
         yield pa.RecordBatch.from_arrays([pa.array(range(SECTIONS)), pa.array([x.tobytes() for x in np.split(total, SECTIONS)], pa.binary())], names=["section", "n"])
 
     def add(part: pa.Table) -> pa.Table:
         total = sum(np.frombuffer(x.as_buffer(), np.uint32) for x in part.column("n"))
         return pa.table({"section": part.column("section").slice(0, 1), "n": pa.array([total.tobytes()], pa.binary())})
 
-    found = sets.select("shingles").mapInArrow(count, "section bigint, n binary").groupBy("section").applyInArrow(add, "section bigint, n binary").collect()
+    found = texts.mapInArrow(count, "section bigint, n binary").groupBy("section").applyInArrow(add, "section bigint, n binary").collect()
     total = np.zeros(COUNTERS, np.uint32)
     for r in found:
         total[r["section"] * (COUNTERS // SECTIONS) :][: COUNTERS // SECTIONS] = np.frombuffer(r["n"], np.uint32)
     return total
 
 
-def first_shingles(sets: DataFrame) -> DataFrame:
-    """key, fp, n (size of the set), m (sets that have the key): the first shingles of each set that other sets have too."""
-    sent = sets.sparkSession.sparkContext.broadcast(shingle_counts(sets))
+def first_shingles(texts: DataFrame, shingle: int) -> DataFrame:
+    """key, fp, n (size of the set), at (place of the key in the set's order), m (sets that have the key): the first shingles of each text (one column)
+    that other sets have too."""
+    sent = texts.sparkSession.sparkContext.broadcast(shingle_counts(texts, shingle))
 
     def first(batches):
         for b in slices(batches, 200):
-            keys, owner, size = [], [], []
-            for fp, x in zip(b.column(0).to_pylist(), b.column(1)):
-                h = np.frombuffer(x.as_buffer(), np.uint64)
+            keys, owner, size, place = [], [], [], []
+            for t in b.column(0).to_pylist():
+                h = shingles(t, shingle)
                 n = len(h)
-                keys.append(h[np.lexsort((h, sent.value[h >> COUNTER_SHIFT]))][: n + 1 + -n * SIMILAR[0] // SIMILAR[1] if n else 0])
-                owner.append(np.full(len(keys[-1]), fp))
-                size.append(np.full(len(keys[-1]), n))
+                if n:
+                    keys.append(h[np.lexsort((h, sent.value[h >> COUNTER_SHIFT]))][: n + 1 + -n * SIMILAR[0] // SIMILAR[1]])
+                    k = len(keys[-1])
+                    owner.append(np.full(k, node_of(h), np.uint64))
+                    size.append(np.full(k, n))
+                    place.append(np.arange(k))
             if keys:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(np.concatenate(owner).astype(np.int64)), pa.array(np.concatenate(size).astype(np.int64))], names=["key", "fp", "n"])
+                columns = [np.concatenate(keys).view(np.int64), np.concatenate(owner).view(np.int64), np.concatenate(size).astype(np.int32), np.concatenate(place).astype(np.int32)]
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in columns], names=["key", "fp", "n", "at"])
 
     def shared(batches):
-        got = [[b.column(i).to_numpy() for i in range(3)] for b in batches if b.num_rows]
+        got = [[b.column(i).to_numpy() for i in range(4)] for b in batches if b.num_rows]
         if not got:
             return
-        key, fp, n = (np.concatenate(x) for x in zip(*got))
+        key, fp, n, at = (np.concatenate(x) for x in zip(*got))
         del got
         order = np.lexsort((fp, key))
-        key, fp, n = key[order], fp[order], n[order]
+        key, fp, n, at = key[order], fp[order], n[order], at[order]
         one = np.r_[True, (key[1:] != key[:-1]) | (fp[1:] != fp[:-1])]
-        key, fp, n = key[one], fp[one], n[one]
+        key, fp, n, at = key[one], fp[one], n[one], at[one]
         start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
         size = np.diff(np.r_[start, len(key)])
         m = np.repeat(size, size)
-        yield pa.RecordBatch.from_arrays([pa.array(x[m > 1]) for x in (key, fp, n, m)], names=["key", "fp", "n", "m"])
+        yield pa.RecordBatch.from_arrays([pa.array(x[m > 1]) for x in (key, fp, n, at, m)], names=["key", "fp", "n", "at", "m"])
 
-    parts = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return sets.select("fp", "shingles").mapInArrow(first, "key bigint, fp bigint, n bigint").repartition(parts, "key").mapInArrow(shared, "key bigint, fp bigint, n bigint, m bigint")
+    parts = int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return texts.mapInArrow(first, "key bigint, fp bigint, n int, at int").repartition(parts, "key").mapInArrow(shared, "key bigint, fp bigint, n int, at int, m bigint")
 
 
 def pivot_pairs(members: DataFrame, pivots: int) -> DataFrame:
-    """(a, b): of the sets with one key (columns key, fp, n, comp) the first `pivots` with each later one of another component."""
+    """(a, b): of the sets with one key (columns key, fp, n, at, comp) the first `pivots` with each later one of another component.
+
+    Two sets may be as alike as SIMILAR asks only if enough shingles come after the first one that they share: what stands at
+    most on the places from it on is compared with the overlap that their sizes call for."""
 
     def run(batches):
-        got = [[b.column(i).to_numpy() for i in range(4)] for b in batches if b.num_rows]
+        got = [[b.column(i).to_numpy() for i in range(5)] for b in batches if b.num_rows]
         if not got:
             return
-        key, fp, n, comp = (np.concatenate(x) for x in zip(*got))
+        key, fp, n, at, comp = (np.concatenate(x) for x in zip(*got))
         del got
         order = np.lexsort((fp * np.int64(-7046029254386353131), key))  # one order for all keys, so that they share pivots
-        key, fp, n, comp = key[order], fp[order], n[order], comp[order]
+        key, fp, n, at, comp = key[order], fp[order], n[order].astype(np.int64), at[order], comp[order]
         start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
         end, made, waiting = np.r_[start[1:], len(key)], [], 0
 
@@ -378,7 +390,9 @@ def pivot_pairs(members: DataFrame, pivots: int) -> DataFrame:
         for s, e in zip(start.tolist(), end.tolist()):
             for i in range(s, min(e - 1, s + pivots)):
                 small, large = np.minimum(n[i], n[i + 1 : e]), np.maximum(n[i], n[i + 1 : e])
-                j = i + 1 + np.flatnonzero((comp[i + 1 : e] != comp[i]) & (small * SIMILAR[1] >= large * SIMILAR[0]))
+                most = np.minimum(n[i] - at[i], n[i + 1 : e] - at[i + 1 : e])
+                enough = most * (SIMILAR[0] + SIMILAR[1]) >= (small + large) * SIMILAR[0]
+                j = i + 1 + np.flatnonzero((comp[i + 1 : e] != comp[i]) & (small * SIMILAR[1] >= large * SIMILAR[0]) & enough)
                 if len(j):
                     made.append(np.stack([np.minimum(fp[i], fp[j]), np.maximum(fp[i], fp[j])], 1))
                     waiting += len(j)
@@ -389,7 +403,7 @@ def pivot_pairs(members: DataFrame, pivots: int) -> DataFrame:
             yield from flush()
 
     parts = int(members.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return members.select("key", "fp", "n", "comp").repartition(parts, "key").mapInArrow(run, "a bigint, b bigint").distinct()
+    return members.select("key", "fp", "n", "at", "comp").repartition(parts, "key").mapInArrow(run, "a bigint, b bigint").distinct()
 
 
 def simhash_pairs(sets: DataFrame, distance: int) -> DataFrame:
@@ -404,13 +418,23 @@ def simhash_pairs(sets: DataFrame, distance: int) -> DataFrame:
     return own.unionAll(far).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-def similar_links(sets: DataFrame, distance: int = 2) -> DataFrame:
-    """Links (a, b) that connect all sets (fp, sim, shingles; on shared files) with a Jaccard similarity of SIMILAR at least."""
-    members = materialise(first_shingles(sets), "near-members")
+def similar_links(sets: DataFrame, texts: DataFrame, shingle: int = SHINGLE, distance: int = 2) -> DataFrame:
+    """Links (a, b) that connect all sets (fp, sim; on shared files) of the texts (one column) with a Jaccard similarity of SIMILAR at least."""
+    members = materialise(first_shingles(texts, shingle), "near-members")
     largest = members.agg(F.max("m")).first()[0] or 0
-    proposed = materialise(simhash_pairs(sets.select("fp", "sim"), distance), "near-pairs")
+    proposed = materialise(simhash_pairs(sets.select("fp", "sim"), distance), "near-proposed")
     nodes = members.select("fp").unionAll(proposed.select("a")).unionAll(proposed.select("b")).distinct()
-    whole = materialise(sets.select("fp", "shingles").join(nodes, "fp", "left_semi").dropDuplicates(["fp"]), "near-sets")
+    # One text of each node that has a candidate: its set is made again, and stored.
+    owners = sets.join(nodes, "fp", "left_semi").groupBy("fp").agg(F.min("_text").alias("_text"))
+    owners = materialise(owners, "near-owners")
+    found_texts = texts.withColumn("_text", F.xxhash64(F.coalesce(F.col(texts.columns[0]), F.lit("\x00")))).join(checked(owners, owners.count(), 24), "_text").select(texts.columns[0])
+
+    def again(batches):
+        for b in slices(batches, 200):
+            found = [shingles(t, shingle) for t in b.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(np.array([node_of(x) for x in found], np.uint64).view(np.int64)), pa.array([x.tobytes() for x in found], pa.binary())], names=["fp", "shingles"])
+
+    whole = materialise(found_texts.mapInArrow(again, "fp bigint, shingles binary").dropDuplicates(["fp"]), "near-sets")
     n_bytes = whole.agg(F.sum(F.length("shingles") + 64)).first()[0] or 0
 
     def run(batches):
@@ -450,7 +474,8 @@ def first_of_each(docs: DataFrame, told: DataFrame, id_col: str, text_col: str)
 def keep_one(docs: DataFrame, shingle: int = SHINGLE, distance: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows of docs, all columns, that stay: one text of each component, where all texts with a Jaccard similarity of SIMILAR at least are linked."""
     rows = materialise(shingle_sets(docs, shingle, id_col, text_col, keys_of(id_col, text_col)), "shingle-sets")
-    told = grouped(rows.drop("shingles", "sim"), links=similar_links(rows, distance)).select("_id", "_text", "doc_id", "component_id", "fp")
+    texts = docs.select(F.col(text_col).alias("_whole_text"))
+    told = grouped(rows.drop("sim"), links=similar_links(rows, texts, shingle, distance)).select("_id", "_text", "doc_id", "component_id", "fp")
     return first_of_each(docs, told, id_col, text_col)
 
 

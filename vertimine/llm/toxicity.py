@@ -35,11 +35,10 @@ def word_hashes(text: str) -> np.ndarray:
     except KeyError:
         if len(known) >= MAX_WORDS:
             known.clear()
-        new = set(words) - known.keys()
+        new = [w for w in set(words) if w not in known]
         found = {w: zlib.crc32(w.encode("utf-8", "surrogatepass")) | zlib.crc32(b"^" + w[:4].encode("utf-8", "surrogatepass")) << 32 for w in new}
         known.update((w, h) for w, h in found.items() if len(w) <= KEPT_CHARS)
-        hashed = known if len(new) == sum(len(w) <= KEPT_CHARS for w in new) else known | found
-    return np.fromiter(map(hashed.__getitem__, words), np.uint64, len(words))
+    return np.fromiter([known[w] if w in known else found[w] for w in words], np.uint64, len(words))
 
 
 def spread(x: np.ndarray, bits: int) -> np.ndarray:
