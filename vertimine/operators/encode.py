@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -26,6 +28,32 @@ def full(rows: DataFrame) -> DataFrame:
     return rows.groupBy("tid").agg(F.sort_array(F.collect_list("item")).alias("items"))
 
 
+def _known(column: pa.Array, items: pa.Array, ranks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(ranks ascending within each row, ends of the rows) of a column of item lists; items without a rank are dropped."""
+    width = np.diff(np.asarray(column.offsets))
+    place = pc.index_in(column.flatten(), items)
+    row = np.repeat(np.arange(len(width)), width)
+    some = np.asarray(pc.is_valid(place))
+    rank, row = ranks[place.drop_null().to_numpy()], row[some]
+    order = np.lexsort((rank, row))
+    return rank[order].astype(np.int32), np.cumsum(np.bincount(row, minlength=len(width)))
+
+
+def strip_lists(arrays: DataFrame, items: list, ranks: np.ndarray) -> DataFrame:
+    """(ranks) of (tid, items) lists without a shuffle: whole Arrow batches against a dictionary that the caller has checked for size."""
+    sent = arrays.sparkSession.sparkContext.broadcast((pa.array(items), ranks))
+
+    def run(batches):
+        for b in batches:
+            names, own = sent.value
+            rank, ends = _known(b.column(0), names.cast(b.column(0).type.value_type), own)
+            width = np.diff(np.r_[0, ends])
+            offsets = np.r_[0, ends[width > 0]].astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets), pa.array(rank))], names=["ranks"])
+
+    return arrays.select("items").mapInArrow(run, "ranks array<int>")
+
+
 def strip_arrays(transactions: DataFrame, ranks: dict) -> DataFrame:
     """The same for (tid, items) arrays, without a shuffle: Arrow batches against a broadcast dictionary."""
     sent = transactions.sparkSession.sparkContext.broadcast(ranks)

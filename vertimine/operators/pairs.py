@@ -9,6 +9,8 @@ from pyspark.sql import functions as F
 
 #: The dense triangle is used while its cells take at most this many bytes in a task.
 DENSE_BYTES = 64 << 20
+#: Cells of the full square up to which pairs are counted by a matrix product.
+MATRIX_CELLS = 1 << 16
 
 
 def cells(n: int) -> int:
@@ -35,11 +37,20 @@ def count_sparse(encoded: DataFrame, min_count: int = 1, array: str = "ranks") -
 
 def count_dense(encoded: DataFrame, n_items: int, min_count: int = 1) -> DataFrame:
     """The same through one numpy triangle a task; only its non-zero cells are shuffled."""
+    cells_of = cells
 
     def run(batches):
-        total = np.zeros(cells(n_items), np.int64)
+        total = np.zeros(cells_of(n_items), np.int64)
+        upper = np.triu_indices(n_items, 1) if n_items * n_items <= MATRIX_CELLS else None
         for b in batches:
             column = b.column(0)
+            if len(column) and n_items * n_items <= MATRIX_CELLS:
+                # Few items: the counts are the product of the 0/1 matrix with itself, exact in floats up to 2**24 rows.
+                width = np.diff(np.asarray(column.offsets))
+                cells = np.zeros((len(column), n_items), np.float32)
+                cells[np.repeat(np.arange(len(width)), width), column.flatten().to_numpy(zero_copy_only=False)] = 1
+                total += (cells.T @ cells)[upper].astype(np.int64)
+                continue
             values, ends = column.flatten().to_numpy(zero_copy_only=False).astype(np.int64), np.asarray(column.offsets)[1:] - column.offsets[0].as_py()
             starts = np.r_[0, ends[:-1]]
             width = ends - starts

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -30,10 +31,13 @@ def bruteforce(rows: DataFrame, min_count: int, max_width: int = 16) -> DataFram
 
 def mine_local(transactions: dict, min_count: int, max_len: int | None = None) -> dict[tuple, int]:
     """One process, the whole lattice as one class with an empty prefix. transactions: tid -> items."""
-    maps: dict = {}
+    having: dict = {}
     for n, items in enumerate(transactions.values()):
         for x in {i for i in items if i is not None}:
-            maps[x] = maps.get(x, 0) | 1 << n
-    ranked = sorted(maps, key=lambda x: (maps[x].bit_count(), x))
-    found = mine_class([(r, maps[x]) for r, x in enumerate(ranked)], min_count, max_len)
+            having.setdefault(x, []).append(n)
+    ranked = sorted(having, key=lambda x: (len(having[x]), x))
+    cells = np.zeros((len(ranked), -(-len(transactions) // 64) * 64), bool)
+    for r, x in enumerate(ranked):
+        cells[r, having[x]] = True
+    found = mine_class(np.arange(len(ranked)), np.packbits(cells, axis=1).view(np.uint64), min_count, max_len)
     return {tuple(sorted(ranked[r] for r in items)): n for items, n in found}

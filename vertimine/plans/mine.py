@@ -2,27 +2,33 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, replace
+import contextlib
+from dataclasses import dataclass, field, replace
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vertimine import threshold
-from vertimine.operators import bottomup, classes, encode, items, levelwise, pairs, partitioners, reference, sharded, vertical
+from vertimine.operators import bottomup, chunks, classes, encode, items, levelwise, pairs, partitioners, reference, sharded
 from vertimine.sources.baskets import Transactions
 
-#: Bytes of one class's bitmaps that a task may hold; larger classes are mined by tid shards.
+#: Bytes of one class's bitmaps that a task may hold. Larger classes are split into those of longer prefixes, and mined by tid shards if these are too large as well.
 CLASS_BYTES = 256 << 20
+#: Frequent pairs that are sent to all tasks (8 bytes each); more of them are joined by shuffle.
+SENT_PAIRS = 2_000_000
 
 
 @dataclass(frozen=True)
 class MiningConfig:
-    """strip: drop infrequent items first. layout: `lists` (tid lists with the item counts), `group`, `map` or `project`.
-    matrix: count pairs before intersecting (True, False or "auto"). prefix_len: length of the classes' prefixes."""
+    """strip: drop infrequent items first. layout: `map` or `group` (tid bitmaps by chunk, made in place or by a shuffle), or `project` (suffixes of
+    transactions). matrix: count pairs before intersecting (True, False or "auto"); matrix_by: size it by `rank` or by the largest item number
+    (`value`). prefix_len: length of the classes' prefixes. shards: mine everything by so many tid shards."""
 
     strip: bool = True
     layout: str = "map"
     matrix: bool | str = True
+    matrix_by: str = "rank"
     partitioner: str = "modulo"
     p: int = 10
     prefix_len: int = 1
@@ -30,10 +36,11 @@ class MiningConfig:
     max_len: int | None = None
     include_singletons: bool = True
     shards: int = 0
+    class_bytes: int = CLASS_BYTES
 
 
 PIPELINES = {
-    "plain": MiningConfig(strip=False, layout="lists", partitioner="per_class"),
+    "plain": MiningConfig(strip=False, layout="group", partitioner="per_class"),
     "filtered": MiningConfig(layout="group", partitioner="per_class"),
     "filtered_map": MiningConfig(layout="map", partitioner="per_class"),
     "filtered_mod": MiningConfig(layout="map", partitioner="modulo"),
@@ -49,75 +56,160 @@ class Prepared:
     min_count: int
     frequent: DataFrame
     n_items: int
+    arrays: DataFrame | None = None
     encoded: DataFrame | None = None
-    lists: DataFrame | None = None
+    kept: list[DataFrame] = field(default_factory=list)
+
+    def keep(self, df: DataFrame) -> DataFrame:
+        self.kept.append(df.persist())
+        return df
+
+    def release(self) -> None:
+        for df in self.kept:
+            df.unpersist()
+        self.kept.clear()
 
 
 def prepare(tx: Transactions, config: MiningConfig, min_support=None, min_count: int | None = None) -> Prepared:
-    n = tx.count()
-    least = threshold.resolve(n, min_support, min_count)
-    if config.layout == "lists":
-        counted = items.vertical_counts(tx.rows, least).persist()
-        ranked = items.rank(counted.select("item", "support"), config.order).persist()
-        lists = counted.select("item", "tids").join(ranked.select("item", "rank"), "item").select("rank", "tids")
-    else:
-        ranked, lists = items.rank(items.counts(tx.rows, least), config.order).persist(), None
-    n_items = ranked.count()
-    return Prepared(n, least, ranked, n_items, lists=lists)
-
-
-def pair_counts(tx: Transactions, prep: Prepared, config: MiningConfig) -> DataFrame:
-    """(i, j, support) of frequent pairs. Without stripping all item pairs of the raw transactions are counted, as that way has it."""
-    if config.strip or config.layout == "project":
-        if pairs.mode(prep.n_items) == "dense" and config.layout != "project":
-            return pairs.count_dense(prep.encoded, prep.n_items, prep.min_count)
-        return pairs.count_sparse(prep.encoded, prep.min_count)
-    raw = pairs.count_sparse(encode.full(tx.rows), prep.min_count, "items")
-    rank = prep.frequent.select("item", "rank")
-    left, right = (encode.dictionary(rank, prep.n_items).toDF(item, place) for item, place in (("i", "a"), ("j", "b")))
-    named = raw.join(left, "i").join(right, "j")
-    return named.select(F.least("a", "b").alias("i"), F.greatest("a", "b").alias("j"), "support")
-
-
-def mine(tx: Transactions, pipeline: str = "filtered_mod", min_support=None, min_count: int | None = None, config: MiningConfig | None = None, **options) -> DataFrame:
-    """All frequent itemsets: (items, k, support). pipeline: one of PIPELINES, `auto`, `levelwise`, or a config of your own."""
-    if pipeline == "levelwise":
+    """One pass builds the transactions' item lists, which all later passes read from memory or local disk."""
+    prep = Prepared(0, 0, tx.rows, 0)
+    prep.arrays = prep.keep(tx.arrays())
+    prep.n_transactions = tx.transactions.count() if tx.transactions is not None else prep.arrays.count()
+    prep.min_count = threshold.resolve(prep.n_transactions, min_support, min_count)
+    counted = prep.arrays.select(F.explode("items").alias("item"))
+    prep.frequent = prep.keep(items.rank(items.counts(counted, prep.min_count), config.order))
+    prep.n_items = prep.frequent.count()
+    return prep
+
+
+def _encoded(prep: Prepared, config: MiningConfig) -> tuple[DataFrame, int]:
+    """(ranks) of each transaction, and the number of ranks. Unstripped, infrequent items have the ranks after the frequent ones."""
+    ranked, n = prep.frequent.select("item", "rank"), prep.n_items
+    if not config.strip:
+        others = prep.arrays.select(F.explode("items").alias("item")).distinct().join(ranked, "item", "left_anti")
+        rest = prep.keep(items.rank(others.withColumn("support", F.lit(0)), "lexical").select("item", (F.col("rank") + n).alias("rank")))
+        ranked, n = ranked.unionByName(rest), n + rest.count()
+    if n <= encode.BROADCAST_ITEMS:
+        known = ranked.toArrow()
+        return encode.strip_lists(prep.arrays, known["item"].to_pylist(), known["rank"].to_numpy()), n
+    rows = prep.arrays.select("tid", F.explode("items").alias("item"))
+    return encode.strip(rows, ranked, n).select("ranks"), n
+
+
+def frequent_pairs(prep: Prepared, config: MiningConfig, n_ranks: int) -> DataFrame:
+    """(i, j, support) of frequent pairs: counted in the transactions (the matrix), or from the intersections of all tid lists."""
+    matrix = config.matrix
+    if matrix == "auto":  # on while the triangle over all counted items is small
+        largest = prep.frequent.agg(F.max(F.expr("try_cast(item as bigint)"))).first()[0] if config.matrix_by == "value" else None
+        matrix = pairs.mode(n_ranks, largest, "value" if largest is not None else "rank") == "dense"
+    if matrix:
+        dense = pairs.mode(n_ranks) == "dense"
+        return pairs.count_dense(prep.encoded, n_ranks, prep.min_count) if dense else pairs.count_sparse(prep.encoded.withColumn("tid", F.lit(0)), prep.min_count)
+    return chunks.pair_supports(prep.encoded, n_ranks, prep.min_count)
+
+
+def mine(tx: Transactions, pipeline: str = "auto", min_support=None, min_count: int | None = None, config: MiningConfig | None = None, **options) -> DataFrame:
+    """All frequent itemsets: (items, k, support). pipeline: one of PIPELINES, `auto`, `levelwise`, or a config of your own.
+
+    The itemsets are worked out at once and kept by Spark (unpersist() the result to let them go); whatever else was kept on the way is released."""
+    if pipeline == "levelwise" and config is None:
         return mine_levelwise(tx, min_support, min_count, **options)
     if config is None:
-        config = choose(tx, min_support, min_count) if pipeline == "auto" else PIPELINES[pipeline]
+        p = 3 * tx.rows.sparkSession.sparkContext.defaultParallelism
+        config = MiningConfig(partitioner="greedy", p=p) if pipeline == "auto" else PIPELINES[pipeline]
     config = replace(config, **options)
     prep = prepare(tx, config, min_support, min_count)
-    spark = tx.rows.sparkSession
+    with contextlib.closing(_Closing(prep)):
+        found = _mined(prep, config)
+        out = bottomup.result(prep.frequent, found, prep.n_items, config.include_singletons).persist()
+        out.count()
+        return out
+
+
+class _Closing:
+    def __init__(self, prep: Prepared):
+        self.close = prep.release
+
+
+def _mined(prep: Prepared, config: MiningConfig) -> DataFrame:
+    """(ranks, support) of two items and more."""
+    spark = prep.frequent.sparkSession
+    nothing = spark.createDataFrame([], bottomup.SCHEMA)
     if prep.n_items < 2 or config.max_len == 1:
-        mined = spark.createDataFrame([], bottomup.SCHEMA)
-        return bottomup.result(prep.frequent, mined, prep.n_items, config.include_singletons)
-    if config.layout != "lists":
-        prep.encoded = encode.strip(tx.rows, prep.frequent, prep.n_items).persist()
-    matrix = config.matrix
-    if matrix == "auto":  # on while the triangle is small: over frequent items if these alone are counted, else over all
-        matrix = pairs.mode(prep.n_items if config.strip else tx.rows.agg(F.count_distinct("item").alias("n")).first()["n"]) == "dense"
-    need_pairs = matrix or config.layout == "project" or config.prefix_len > 1 or config.shards
-    frequent_pairs = pair_counts(tx, prep, config).persist() if need_pairs else None
+        return nothing
+    encoded, n_ranks = _encoded(prep, config)
+    prep.encoded = prep.keep(encoded)
+    found = prep.keep(frequent_pairs(prep, config, n_ranks))
+    n_pairs = found.count()
+    if not n_pairs:
+        return nothing
     if config.shards:
-        mined = sharded.mine(prep.encoded, frequent_pairs, prep.min_count, config.shards, config.max_len)
-        return bottomup.result(prep.frequent, mined, prep.n_items, config.include_singletons)
-    extra = None
-    if config.layout == "project" or config.prefix_len > 1:
-        made = classes.project(prep.encoded, frequent_pairs, frequent_pairs.count())
-        for _ in range(config.prefix_len - 1):  # itemsets no longer than a prefix come from the classes it was grown from
-            shorter = made.select("prefix", F.explode("suffix").alias("_m")).groupBy("prefix", "_m").agg(F.count(F.lit(1)).alias("support"))
-            shorter = shorter.where(F.col("support") >= prep.min_count).select(F.concat("prefix", F.array("_m")).alias("ranks"), "support")
-            extra = shorter if extra is None else extra.unionByName(shorter)
-            made = classes.deepen(made, prep.min_count)
-    else:
-        layout = prep.lists if config.layout == "lists" else {"group": vertical.by_group, "map": vertical.by_map}[config.layout](prep.encoded)
-        made = classes.build(layout.persist(), prep.min_count, prep.n_items, frequent_pairs if matrix else None)
+        return sharded.mine(prep.encoded, found, prep.min_count, config.shards, config.max_len)
+    if config.layout == "project" or config.prefix_len > 2 or n_pairs > SENT_PAIRS:
+        return _projected(prep, config, found, n_pairs)
+    table = found.toArrow()
+    i, j, support = (table[c].to_numpy() for c in ("i", "j", "support"))
+    allowed = chunks.Allowed.of(i, j, n_ranks)
+    short, long, huge = split(allowed, i, j, support, supports(prep), config)
+    levels = []
+    if long or huge:  # itemsets of two that no class with a longer prefix gives
+        split_heads = sorted({x for x, _ in [*long, *huge]})
+        levels.append(found.join(F.broadcast(spark.createDataFrame([(x,) for x in split_heads], "i int")), "i").select(F.array("i", "j").alias("ranks"), "support"))
+    prefixes = [(x,) for x in short] + long
+    if prefixes:
+        size = {p: len(allowed.members(p)) for p in prefixes}
+        prefixes = [p for p in prefixes if size[p]]
+        layout = chunks.by_map(prep.encoded, prefixes, allowed, n_ranks) if config.layout == "map" else chunks.by_group(prep.encoded, prefixes, allowed, n_ranks, None if config.strip else prep.n_items)
+        p = max(prep.n_items - 1, 1) if config.partitioner == "per_class" else config.p
+        work = {x[0]: 0.0 for x in prefixes}
+        for x in prefixes:
+            work[x[0]] += size[x] * (size[x] + 1) / 2
+        pid = partitioners.column(config.partitioner, F.col("prefix")[0], p, work if config.partitioner == "greedy" else None)
+        levels.append(bottomup.mine(layout, pid, p, prep.min_count, config.max_len))
+    if huge:
+        heads = spark.createDataFrame(huge, "i int, j int")
+        at = found.join(F.broadcast(heads), ["i", "j"])
+        shards = max(2, -(-int(support.max()) // (8 * config.class_bytes)) * 2)
+        levels.append(sharded.mine(prep.encoded, found, prep.min_count, shards, config.max_len, heads=at))
+    out = levels[0]
+    for x in levels[1:]:
+        out = out.unionByName(x)
+    return out
+
+
+def supports(prep: Prepared) -> np.ndarray:
+    told = prep.frequent.select("rank", "support").toArrow()
+    out = np.zeros(prep.n_items, np.int64)
+    out[told["rank"].to_numpy()] = told["support"].to_numpy()
+    return out
+
+
+def split(allowed: chunks.Allowed, i: np.ndarray, j: np.ndarray, support: np.ndarray, single: np.ndarray, config: MiningConfig) -> tuple[list[int], list[tuple[int, int]], list[tuple[int, int]]]:
+    """(prefixes of one item, prefixes of two, prefixes of two that are too large as well), by the bytes of a class's bitmaps: a bit for each member and each
+    row that has the prefix."""
+    heads, m = np.unique(i, return_counts=True)
+    large = (m * single[heads] / 8 > config.class_bytes) | (config.prefix_len == 2)
+    long, huge = [], []
+    for k in np.flatnonzero(np.isin(i, heads[large])):
+        pair = (int(i[k]), int(j[k]))
+        (huge if len(allowed.members(pair)) * support[k] / 8 > config.class_bytes else long).append(pair)
+    return heads[~large].tolist(), long, huge
+
+
+def _projected(prep: Prepared, config: MiningConfig, found: DataFrame, n_pairs: int) -> DataFrame:
+    """Classes of transaction suffixes: needs no pairs on the driver, and prefixes of any length."""
+    rows = prep.encoded.withColumn("tid", F.monotonically_increasing_id())
+    made, extra = classes.project(rows, found, n_pairs), None
+    for _ in range(config.prefix_len - 1):  # itemsets no longer than a prefix come from the classes it was grown from
+        shorter = made.select("prefix", F.explode("suffix").alias("_m")).groupBy("prefix", "_m").agg(F.count(F.lit(1)).alias("support"))
+        shorter = shorter.where(F.col("support") >= prep.min_count).select(F.concat("prefix", F.array("_m")).alias("ranks"), "support")
+        extra = shorter if extra is None else extra.unionByName(shorter)
+        made = classes.deepen(made, prep.min_count)
     p = max(prep.n_items - 1, 1) if config.partitioner == "per_class" else config.p
-    pid = partitioners.column(config.partitioner, F.col("prefix")[0], p, weights(frequent_pairs) if config.partitioner == "greedy" else None)
+    kind = "hash" if config.partitioner == "greedy" and n_pairs > SENT_PAIRS else config.partitioner
+    pid = partitioners.column(kind, F.col("prefix")[0], p, weights(found) if kind == "greedy" else None)
     mined = bottomup.mine(made, pid, p, prep.min_count, config.max_len)
-    if extra is not None:
-        mined = mined.unionByName(extra)
-    return bottomup.result(prep.frequent, mined, prep.n_items, config.include_singletons)
+    return mined if extra is None else mined.unionByName(extra)
 
 
 def weights(frequent_pairs: DataFrame | None) -> dict[int, float]:
@@ -129,8 +221,12 @@ def weights(frequent_pairs: DataFrame | None) -> dict[int, float]:
 
 def mine_levelwise(tx: Transactions, min_support=None, min_count: int | None = None, max_len: int | None = None, include_singletons: bool = True) -> DataFrame:
     prep = prepare(tx, MiningConfig(), min_support, min_count)
-    encoded = encode.strip(tx.rows, prep.frequent, prep.n_items).persist()
-    return bottomup.result(prep.frequent, levelwise.mine(encoded, prep.frequent, prep.min_count, max_len), prep.n_items, include_singletons)
+    with contextlib.closing(_Closing(prep)):
+        prep.encoded = prep.keep(_encoded(prep, MiningConfig())[0])
+        found = levelwise.mine(prep.encoded, prep.frequent, prep.min_count, max_len)
+        out = bottomup.result(prep.frequent, found, prep.n_items, include_singletons).persist()
+        out.count()
+        return out
 
 
 def mine_fpgrowth(tx: Transactions, min_support=None, min_count: int | None = None) -> DataFrame:
@@ -139,22 +235,19 @@ def mine_fpgrowth(tx: Transactions, min_support=None, min_count: int | None = No
     return reference.fpgrowth(tx.rows, with_items, threshold.resolve(n, min_support, min_count))
 
 
-def choose(tx: Transactions, min_support=None, min_count: int | None = None, strip_min_gain: float = 0.0) -> MiningConfig:
-    """A config from statistics that are known before the costly stages: |D|, n, occurrences, and the largest class."""
-    n = tx.count()
-    least = threshold.resolve(n, min_support, min_count)
-    s = items.counts(tx.rows, least).agg(F.count(F.lit(1)).alias("n"), F.sum("support").alias("occurrences"), F.max("support").alias("most")).first()
-    n_items, most = s["n"], s["most"] or 0
-    class_bytes = n_items * most // 8
-    if class_bytes > CLASS_BYTES:
-        return MiningConfig(layout="group", shards=max(2, class_bytes // CLASS_BYTES))
-    p = max(1, min(3 * tx.rows.sparkSession.sparkContext.defaultParallelism, n_items - 1))
-    return MiningConfig(layout="project", partitioner="greedy", p=p, matrix=pairs.mode(n_items) == "dense")
-
-
 def explain_mining(tx: Transactions, pipeline: str = "auto", min_support=None, min_count: int | None = None) -> str:
-    config = choose(tx, min_support, min_count) if pipeline == "auto" else PIPELINES[pipeline]
-    n = tx.count()
-    least = threshold.resolve(n, min_support, min_count)
-    frequent = items.counts(tx.rows, least).count()
-    return f"transactions {n}, least count {least}, frequent items {frequent}, pair cells {pairs.cells(frequent)} ({pairs.mode(frequent)})\n{config}"
+    """What a pipeline would do: counts, the pair matrix, and how many classes have prefixes of one item, of two, or go to tid shards."""
+    config = MiningConfig(partitioner="greedy", p=3 * tx.rows.sparkSession.sparkContext.defaultParallelism) if pipeline == "auto" else PIPELINES[pipeline]
+    prep = prepare(tx, config, min_support, min_count)
+    with contextlib.closing(_Closing(prep)):
+        told = f"transactions {prep.n_transactions}, least count {prep.min_count}, frequent items {prep.n_items}, pair cells {pairs.cells(prep.n_items)} ({pairs.mode(prep.n_items)})"
+        if prep.n_items > 1:
+            encoded, n_ranks = _encoded(prep, config)
+            prep.encoded = prep.keep(encoded)
+            found = frequent_pairs(prep, config, n_ranks)
+            if found.limit(SENT_PAIRS + 1).count() <= SENT_PAIRS:
+                table = found.toArrow()
+                i, j, support = (table[c].to_numpy() for c in ("i", "j", "support"))
+                parts = split(chunks.Allowed.of(i, j, n_ranks), i, j, support, supports(prep), config)
+                told += f"\nfrequent pairs {len(i)}, classes by one item {len(parts[0])}, by two {len(parts[1])}, by tid shards {len(parts[2])}"
+    return f"{told}\n{config}"

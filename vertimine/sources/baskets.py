@@ -18,10 +18,22 @@ NOT_WORD = "[^a-zà-ÿ]+"
 
 @dataclass(frozen=True)
 class Transactions:
-    """rows: distinct (tid, item); transactions: one row per transaction, or None if every transaction has an item."""
+    """rows: distinct (tid, item); transactions: one row per transaction, or None if every transaction has an item; lists: (tid, items), where
+    a source has them so, with one row a tid (items distinct) or with several (then `whole` is False)."""
 
     rows: DataFrame
     transactions: DataFrame | None = None
+    lists: DataFrame | None = None
+    whole: bool = False
+
+    def arrays(self) -> DataFrame:
+        """(tid, items): transactions that have items. No shuffle where the source has whole lists, else one, by tid."""
+        if self.lists is None:
+            return to_arrays(self.rows)
+        have = self.lists.where(F.size("items") > 0)
+        if self.whole:
+            return have
+        return have.groupBy("tid").agg(F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"))
 
     def count(self) -> int:
         if self.transactions is not None:
@@ -30,7 +42,8 @@ class Transactions:
 
     @classmethod
     def of(cls, rows: DataFrame, transactions: DataFrame | None = None) -> Transactions:
-        return cls(rows.where("tid is not null and item is not null").distinct(), transactions)
+        known = rows.where("tid is not null and item is not null")
+        return cls(known.distinct(), transactions, known.groupBy("tid").agg(F.collect_set("item").alias("items")), True)
 
     @classmethod
     def from_arrays(cls, frame: DataFrame, tid: str = "tid", items: str = "items") -> Transactions:
@@ -55,7 +68,9 @@ def from_columns(frame: DataFrame, items: dict[str, Column], tid: Column | None
 def wide(frame: DataFrame, items: dict[str, Column], tid: Column | None = None) -> Transactions:
     """from_columns as transactions. Items carry their column's name, so a row has each once and nothing need be made distinct; `tid` must be unique."""
     rows = from_columns(frame, items, tid)
-    return Transactions(rows.where("item is not null"), frame.select(F.lit(1).alias("tid")))
+    tagged = F.array(*[F.concat(F.lit(f"{k}="), c.cast("string")) for k, c in items.items()])
+    lists = frame.select((tid if tid is not None else F.monotonically_increasing_id()).alias("tid"), F.filter(tagged, lambda x: x.isNotNull()).alias("items"))
+    return Transactions(rows.where("item is not null"), frame.select(F.lit(1).alias("tid")), lists, True)
 
 
 def words(text: Column) -> Column:
@@ -157,7 +172,9 @@ def user_keys(spark, d):
 
 
 def _words(frame: DataFrame, tid: Column, text: Column) -> Transactions:
-    return Transactions.of(frame.select(tid.alias("tid"), F.explode(words(text)).alias("item")), frame.select(tid.alias("tid")))
+    found = frame.select(tid.alias("tid"), F.array_distinct(F.coalesce(words(text), F.array())).alias("items")).where("tid is not null")
+    rows = found.select("tid", F.explode("items").alias("item")).where("item is not null").distinct()
+    return Transactions(rows, frame.select(tid.alias("tid")), found)
 
 
 def doc_words(spark, d):
@@ -222,4 +239,5 @@ def replicated(view: Transactions, times: int, stride: int) -> Transactions:
     copies = F.explode(F.array(*[F.lit(i).cast("bigint") for i in range(times)]))
     rows = view.rows.select("*", copies.alias("_copy")).select((F.col("tid") + F.col("_copy") * stride).alias("tid"), "item")
     tids = None if view.transactions is None else view.transactions.select("*", copies.alias("_copy")).select((F.col("tid") + F.col("_copy") * stride).alias("tid"))
-    return Transactions(rows, tids)
+    lists = None if view.lists is None else view.lists.select("*", copies.alias("_copy")).select((F.col("tid") + F.col("_copy") * stride).alias("tid"), "items")
+    return Transactions(rows, tids, lists, view.whole)
