@@ -33,7 +33,7 @@ from .common import checked, documents, materialise, short_batches, slices, smal
 #: Deleted before texts are compared.
 BLANK = " \t\n\x0b\x0c\r"
 #: Keys a bucket holds at most; leading bits of a key that the directory may use.
-CAPACITY, MOST_BITS = 1 << 16, 24
+CAPACITY, MOST_BITS = 1 << 13, 24
 #: Bytes of distinct texts that a task gathers before it sends them on as entries.
 ENTRY_BYTES = 16 << 20
 
