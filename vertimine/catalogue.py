@@ -178,7 +178,7 @@ def _sequential(s, d):
     return s.createDataFrame([("|".join(x), len(x), n) for x, n in found.items()], "itemset string, k int, support bigint")
 
 
-for _times in (2, 4):
+for _times in (2, 4, 8, 16):
     add(
         f"fi_scaled_x{_times}_order_brands",
         lambda s, d, r=_times: as_text(plan.mine(b.replicated(b.order_brands(s, d), r, 10**12), "filtered_mod", "0.02")),
@@ -296,4 +296,65 @@ add("class_build_matrix", _built(True), f"{q.pairs('order_brands', '0.02')} SELE
 add("class_build_no_matrix", _built(False), f"{q.pairs('order_brands', '0.02')} SELECT i, j, support FROM p")
 add("class_project", _projected, f"{q.pairs('order_brands', '0.02')} SELECT i, j, support FROM p")
 
+
+def _workload(view: str):
+    """Itemsets found by the first and the last variant and by level-wise mining at each of the view's falling supports."""
+    from vertimine.plans import experiments
+
+    def run(s, d):
+        rows = experiments.variants(s, d, (view,), compared)
+        return s.createDataFrame([(r["pipeline"], r["min_support"], r["itemsets"]) for r in rows], "pipeline string, min_support string, itemsets bigint")
+
+    compared = ("plain", "filtered_reflect", "levelwise")
+    names = ", ".join(f"('{n}')" for n in compared)
+    parts = [f"SELECT '{at}' AS min_support, (SELECT count(*) FROM ({q.frequent(view, at)})) AS itemsets" for at in experiments.SUPPORTS[view]]
+    add(f"workload_{view}", run, f"SELECT pipeline, min_support, itemsets FROM (VALUES {names}) t(pipeline), ({' UNION ALL '.join(parts)})")
+
+
+for _view in ("order_brands", "customer_brands", "line_attrs", "user_day_types", "turn_words"):
+    _workload(_view)
+
+for _view in ("doc_words", "line_bins", "line_attrs", "user_day_types", "customer_suppliers"):
+    for _kind in ("modulo", "reflect"):
+        add(
+            f"balance_{_kind}_{_view}",
+            lambda s, d, kind=_kind, v=_view: measures.partition_load(pairs.count_sparse((x := prepared(s, d, v, AT[v])[1]).encoded, x.min_count), kind, P),
+            f"""{q.pairs(_view, AT[_view])}, m AS (SELECT i, count(*) AS m FROM p GROUP BY i)
+SELECT CAST({q.place(_kind, P)} AS INT) AS pid, count(*) AS n_classes, CAST(sum(m) AS BIGINT) AS members, CAST(sum(m * (m - 1) // 2) AS BIGINT) AS pair_candidates FROM m GROUP BY 1""",
+        )
+for _p in (1, 2, 4, 16):
+    add(f"fi_p{_p}_customer_brands", mined("customer_brands", AT["customer_brands"], "filtered_mod", p=_p), q.frequent("customer_brands", AT["customer_brands"]))
+
+
+def _apart(view: b.Transactions) -> b.Transactions:
+    """The same transactions with item numbers spread far apart (number * 10000 + 7): a matrix by number is too large, one by rank isn't."""
+    far = (F.col("item").cast("bigint") * 10000 + 7).cast("string").alias("item")
+    return b.Transactions(view.rows.select("tid", far), view.transactions)
+
+
+for _name, _options in (("on", {"matrix": True}), ("off", {"matrix": False}), ("auto", {"matrix": "auto", "matrix_by": "value"})):
+    add(
+        f"fi_matrix_{_name}_spread_order_parts",
+        lambda s, d, o=_options: as_text(plan.mine(_apart(b.order_parts(s, d)), "filtered_mod", AT["order_parts"], **o)),
+        q.frequent("order_parts", AT["order_parts"], source=f"SELECT tid, CAST(CAST(item AS BIGINT) * 10000 + 7 AS VARCHAR) AS item FROM ({b.VIEW_SQL['order_parts']})"),
+    )
+add("fi_long_classes_turn_words", mined("turn_words", "0.2", "auto", class_bytes=64), q.frequent("turn_words", "0.2"))
+for _at in ("0.2", "0.3"):
+    add(
+        f"strip_curve_doc_words_{_at.replace('.', '_')}",
+        lambda s, d, at=_at: measures.strip_reduction(tx := b.doc_words(s, d), least(tx, at)).withColumn("pct", F.round("pct", 6)),
+        SQL["strip_reduction_doc_words"].replace("'0.4'", f"'{_at}'"),
+    )
+
+
+def _itemset_lines(s, d):
+    from vertimine.streaming import windows as st
+
+    path = st.shared(s, "itemsets")
+    b.write_itemsets(plan.mine(b.order_brands(s, d), min_support="0.02"), path)
+    return as_text(b.read_itemsets(s, path))
+
+
+add("op_itemset_lines", _itemset_lines, q.frequent("order_brands", "0.02", source="SELECT DISTINCT tid, item FROM (" + b.VIEW_SQL["order_brands"] + ")"))
+
 from vertimine import catalogue_ops  # noqa: E402, F401  registers the operator queries

@@ -238,7 +238,7 @@ def _segments(s, d):
 add("op_segment_mining", _segments, f"WITH v AS (SELECT v.*, c_mktsegment FROM ({b.VIEW_SQL['customer_brands']}) v JOIN customer ON tid = c_custkey), n AS (SELECT c_mktsegment, count(DISTINCT tid) AS n FROM v GROUP BY 1) SELECT c_mktsegment, item, count(*) AS support FROM v JOIN n USING (c_mktsegment) GROUP BY c_mktsegment, item, n HAVING count(*) * 10 >= n * 8")
 add(
     "op_constraint_mining",
-    lambda s, d: as_text((x := c._sets("turn_words", "0.2")(s, d)).where(F.array_contains("items", x.where("k = 1").orderBy(F.col("support").desc(), F.col("items")[0]).first()["items"][0]) & F.col("k").between(2, 4))),
+    lambda s, d: as_text((x := plan.mine(b.turn_words(s, d), "auto", "0.2", max_len=4)).where(F.array_contains("items", x.where("k = 1").orderBy(F.col("support").desc(), F.col("items")[0]).first()["items"][0]) & F.col("k").between(2, 4))),
     f"{q.itemsets('turn_words', '0.2')}, t AS (SELECT items[1] AS top FROM f WHERE k = 1 ORDER BY support DESC, items[1] LIMIT 1) SELECT {q.TEXT} AS itemset, k, support FROM f, t WHERE list_contains(items, top) AND k BETWEEN 2 AND 4",
 )
 add("op_view_sql", lambda s, d: (table(s, d, "events").createOrReplaceTempView("events_v"), s.sql("SELECT event_type, count(*) AS n FROM events_v GROUP BY event_type"))[1], "SELECT event_type, count(*) AS n FROM events GROUP BY event_type")
@@ -311,7 +311,9 @@ add(
 def _stream_state(s, d):
     """Arbitrary state per user, drained once; the last update of each user and type counts."""
     out = st.run_available(st.decayed_counts(st.source(s, d)), "decayed", "update")
-    return out.select("user_id", "event_type", F.round("weight", 6).alias("weight"))
+    # Of all updates of a user and type the last counts; among those of one moment, the one with most events in it, which weighs most.
+    last = out.groupBy("user_id", "event_type").agg(F.max(F.struct("as_of", "weight")).alias("last"))
+    return last.select("user_id", "event_type", F.round("last.weight", 6).alias("weight"))
 
 
 def _decayed_batch(s, d):

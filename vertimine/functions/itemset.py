@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from itertools import combinations
+
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from vertimine.operators.bottomup import bitmaps, mine_class
+from vertimine.operators.bottomup import mine_class
 
 
 def contains_all(items: Column, wanted: Column) -> Column:
@@ -25,6 +28,20 @@ def strip_udf(ranks: dict[str, int]):
     return strip
 
 
+def tidset(tid: Column) -> Column:
+    """Aggregate: the distinct tids of a group, ascending. One array a group: for groups that fit a row."""
+    return F.sort_array(F.collect_set(tid))
+
+
+def mined(rows: dict, names: list, least: int) -> list:
+    """Frequent itemsets of items (name -> set of row numbers), in the order of `names`: (names, support)."""
+    width = -(-(1 + max((max(x) for x in rows.values() if x), default=0)) // 64) * 64
+    cells = np.zeros((len(names), width), bool)
+    for r, x in enumerate(names):
+        cells[r, list(rows[x])] = True
+    return [([names[r] for r in items], n) for items, n in mine_class(np.arange(len(names)), np.packbits(cells, axis=1).view(np.uint64), least)]
+
+
 @F.pandas_udf(T.LongType())
 def tidset_count(tids: pd.Series) -> int:
     """Aggregate: number of distinct tids."""
@@ -55,10 +72,8 @@ class FrequentItemsets:
 
     def terminate(self):
         names = sorted(self.rows, key=lambda x: (len(self.rows[x]), x))
-        members = [(r, sum(1 << t for t in self.rows[x])) for r, x in enumerate(names)]
-        for items, n in mine_class(members, self.least):
-            found = sorted(names[r] for r in items)
-            yield "|".join(found), len(found), n
+        for items, n in mined(self.rows, names, self.least):
+            yield "|".join(sorted(items)), len(items), n
 
 
 @F.udtf(returnType=T.StructType([T.StructField("itemset", T.StringType()), T.StructField("k", T.IntegerType()), T.StructField("support", T.LongType())]), useArrow=False)
@@ -75,17 +90,27 @@ class MineClass:
 
     def terminate(self):
         names = sorted(self.rows)
-        for items, n in mine_class([(r, sum(1 << t for t in self.rows[x])) for r, x in enumerate(names)], self.least):
-            found = sorted([self.prefix, *(names[r] for r in items)])
+        for items, n in mined(self.rows, names, self.least):
+            found = sorted([self.prefix, *items])
             yield "|".join(found), len(found), n
 
 
+@F.udtf(returnType=T.StructType([T.StructField("itemset", T.StringType()), T.StructField("k", T.IntegerType())]), useArrow=False)
+class Subsets:
+    """subsets(items, k): the subsets of k of a transaction's distinct items, null items left out."""
+
+    def eval(self, items: list, k: int):
+        for c in combinations(sorted({x for x in items or () if x is not None}), k):
+            yield "|".join(c), k
+
+
 def register(spark: SparkSession) -> None:
     """Make the functions known to SQL."""
     spark.udtf.register("frequent_itemsets", FrequentItemsets)
     spark.udtf.register("mine_class", MineClass)
+    spark.udtf.register("subsets", Subsets)
     spark.udf.register("tidset_and", tidset_and)
     spark.udf.register("tidset_count", tidset_count)
 
 
-__all__ = ["FrequentItemsets", "MineClass", "bitmaps", "contains_all", "register", "strip_udf", "tidset_and", "tidset_count"]
+__all__ = ["FrequentItemsets", "MineClass", "Subsets", "contains_all", "mined", "register", "strip_udf", "tidset", "tidset_and", "tidset_count"]

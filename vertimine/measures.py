@@ -89,5 +89,37 @@ def speedup(baseline: float, own: float) -> float:
     return baseline / own
 
 
-#: Horizontal passes over the transactions: counting, stripping, pairs, layout. Level-wise adds one per level.
-SCANS = {"plain": 2, "filtered": 2, "filtered_map": 2, "filtered_mod": 2, "filtered_reflect": 2}
+def scans(tx: Transactions, run: Callable[[Transactions], DataFrame]) -> float:
+    """How often `run` reads the transactions' lists from their source: rows that came out of it, over the rows there are."""
+    spark = tx.rows.sparkSession
+    lists = tx.arrays()
+    seen = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for b in batches:
+            seen.add(b.num_rows)
+            yield b
+
+    n = lists.count()
+    watched = Transactions(tx.rows, tx.transactions, lists.mapInArrow(count, lists.schema), True)
+    run(watched).count()
+    return seen.value / max(1, n)
+
+
+def stage_costs(spark, run: Callable[[], object]) -> dict[str, int]:
+    """Bytes shuffled and spilled, and the largest peak of execution memory, over the stages that `run` starts."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    empty = spark.sparkContext._jvm.java.util.ArrayList()
+    quantiles = spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0)
+
+    def stages() -> dict:
+        found = store.stageList(empty, False, False, quantiles, empty)
+        return {(x.stageId(), x.attemptId()): x for x in (found.apply(k) for k in range(found.size()))}
+
+    before = set(stages())
+    run()
+    new = [x for k, x in stages().items() if k not in before]
+    return {
+        "shuffle_bytes": sum(x.shuffleWriteBytes() for x in new), "spill_bytes": sum(x.diskBytesSpilled() for x in new),
+        "peak_bytes": max((x.peakExecutionMemory() for x in new), default=0), "stages": len(new),
+    }

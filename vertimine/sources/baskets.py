@@ -91,6 +91,16 @@ def write_lines(rows: DataFrame, path: str) -> None:
     to_arrays(rows).select(F.array_join("items", " ").alias("value")).write.mode("overwrite").text(path)
 
 
+def write_itemsets(itemsets: DataFrame, path: str) -> None:
+    """Text, one itemset a line: its items parted by blanks, a tab, its support. Items must hold neither."""
+    itemsets.select(F.concat_ws("\t", F.array_join("items", " "), F.col("support").cast("string")).alias("value")).write.mode("overwrite").text(path)
+
+
+def read_itemsets(spark: SparkSession, path: str) -> DataFrame:
+    parts = F.split("value", "\t")
+    return spark.read.text(path).select(F.split(parts[0], " ").alias("items"), parts[1].cast("bigint").alias("support")).select("items", F.size("items").alias("k"), "support")
+
+
 def _line(spark, d):
     return table(spark, d, "lineitem")
 

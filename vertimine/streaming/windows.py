@@ -90,7 +90,9 @@ def mine_windows(min_count: int, path: str) -> Callable[[DataFrame, int], None]:
 
 
 def decayed_counts(events: DataFrame, half_life_days: float = 7.0) -> DataFrame:
-    """Per user and type a count that halves every half_life_days, as of the user's last event of the type: state kept per user."""
+    """Per user and type a count that halves every half_life_days, as of the user's last event of the type: state kept per user.
+
+    An event that comes late weighs what it would weigh now, and the clock stays. `as_of` orders the updates of a user and type."""
     from pyspark.sql.streaming.state import GroupStateTimeout
 
     def update(key: tuple, frames, state):
@@ -100,10 +102,11 @@ def decayed_counts(events: DataFrame, half_life_days: float = 7.0) -> DataFrame:
         since = (rows["ts"] - pd.Timestamp("1970-01-01")).dt.total_seconds() / 86_400
         for day, kind in zip(since, rows["event_type"]):
             weight, at = known.get(kind, (0.0, day))
-            known[kind] = (weight * 0.5 ** ((day - at) / half_life_days) + 1, day)
+            now = max(at, day)
+            known[kind] = (weight * 0.5 ** ((now - at) / half_life_days) + 0.5 ** ((now - day) / half_life_days), now)
         state.update((list(known), [w for w, _ in known.values()], [d for _, d in known.values()]))
-        yield pd.DataFrame({"user_id": [key[0]] * len(known), "event_type": list(known), "weight": [w for w, _ in known.values()]})
+        yield pd.DataFrame({"user_id": [key[0]] * len(known), "event_type": list(known), "weight": [w for w, _ in known.values()], "as_of": [d for _, d in known.values()]})
 
     return events.groupBy("user_id").applyInPandasWithState(
-        update, "user_id bigint, event_type string, weight double", "kinds array<string>, weights array<double>, days array<double>", "update", GroupStateTimeout.NoTimeout
+        update, "user_id bigint, event_type string, weight double, as_of double", "kinds array<string>, weights array<double>, days array<double>", "update", GroupStateTimeout.NoTimeout
     )
