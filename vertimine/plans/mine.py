@@ -74,8 +74,12 @@ def prepare(tx: Transactions, config: MiningConfig, min_support=None, min_count:
     """One pass builds the transactions' item lists, which all later passes read from memory or local disk."""
     prep = Prepared(0, 0, tx.rows, 0)
     prep.arrays = prep.keep(tx.arrays())
-    prep.n_transactions = tx.transactions.count() if tx.transactions is not None else prep.arrays.count()
+    n_lists = prep.arrays.count()
+    prep.n_transactions = tx.transactions.count() if tx.transactions is not None else n_lists
     prep.min_count = threshold.resolve(prep.n_transactions, min_support, min_count)
+    cores = tx.rows.sparkSession.sparkContext.defaultParallelism
+    if prep.arrays.select(F.spark_partition_id().alias("p")).distinct().count() < cores:  # a source of few file parts: deal it out, once
+        prep.arrays = prep.keep(prep.arrays.repartition(cores))
     counted = prep.arrays.select(F.explode("items").alias("item"))
     prep.frequent = prep.keep(items.rank(items.counts(counted, prep.min_count), config.order))
     prep.n_items = prep.frequent.count()
