@@ -24,6 +24,7 @@ each pair is compared or connected: a large group of copies costs pairs in propo
 
 from __future__ import annotations
 
+import uuid
 from itertools import accumulate
 
 import numpy as np
@@ -32,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import checked, documents, keys_of, materialise, salted_join, short_batches, slices, without
+from .common import checked, documents, drop_tables, keys_of, materialise, salted_join, short_batches, slices, without
 
 FAN, CHUNK = 8, 100_000
 #: Dealt fingerprints a task takes in the Hamming join (24 bytes each), about.
@@ -423,29 +424,35 @@ def similar_links(sets: DataFrame, texts: DataFrame, shingle: int = SHINGLE, dis
     members = materialise(first_shingles(texts, shingle), "near-members")
     largest = members.agg(F.max("m")).first()[0] or 0
     proposed = materialise(simhash_pairs(sets.select("fp", "sim"), distance), "near-proposed")
-    nodes = members.select("fp").unionAll(proposed.select("a")).unionAll(proposed.select("b")).distinct()
-    # One text of each node that has a candidate: its set is made again, and stored.
-    owners = sets.join(nodes, "fp", "left_semi").groupBy("fp").agg(F.min("_text").alias("_text"))
-    owners = materialise(owners, "near-owners")
-    found_texts = texts.withColumn("_text", F.xxhash64(F.coalesce(F.col(texts.columns[0]), F.lit("\x00")))).join(checked(owners, owners.count(), 24), "_text").select(texts.columns[0])
+    tag = uuid.uuid4().hex[:12]
+    hashed = texts.withColumn("_text", F.xxhash64(F.coalesce(F.col(texts.columns[0]), F.lit("\x00"))))
 
     def again(batches):
         for b in slices(batches, 200):
             found = [shingles(t, shingle) for t in b.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array(np.array([node_of(x) for x in found], np.uint64).view(np.int64)), pa.array([x.tobytes() for x in found], pa.binary())], names=["fp", "shingles"])
 
-    whole = materialise(found_texts.mapInArrow(again, "fp bigint, shingles binary").dropDuplicates(["fp"]), "near-sets")
-    n_bytes = whole.agg(F.sum(F.length("shingles") + 64)).first()[0] or 0
-
     def run(batches):
         for b in slices(batches, 200):
             good = [alike(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)) for x, y in zip(b.column(2), b.column(3))]
             yield pa.RecordBatch.from_arrays(b.columns[:2], names=["a", "b"]).filter(pa.array(good, pa.bool_()))
 
     def checked_pairs(pairs: DataFrame) -> DataFrame:
+        """Those of the pairs (on shared files) that are alike: the sets of just these are made again, from one text of each, and dropped afterwards."""
+        nodes = materialise(pairs.select(F.col("a").alias("fp")).unionAll(pairs.select("b")).distinct(), "near-nodes")
+        n_nodes = nodes.count()
+        if not n_nodes:
+            return pairs
+        owners = sets.select("fp", "_text").join(checked(nodes, n_nodes, 16), "fp", "left_semi").groupBy("fp").agg(F.min("_text").alias("_text"))
+        owners = materialise(owners.select("_text").distinct(), "near-owners")
+        one_each = hashed.join(checked(owners, n_nodes, 16), "_text", "left_semi").select(texts.columns[0]).distinct()
+        whole = materialise(one_each.mapInArrow(again, "fp bigint, shingles binary"), f"near-sets-{tag}")
+        n_bytes = whole.agg(F.sum(F.length("shingles") + 64)).first()[0] or 0
         left, right = (whole.select(F.col("fp").alias(x), F.col("shingles").alias(f"set_{x}")) for x in "ab")
         both = pairs.join(checked(left, n_bytes, 1), "a").join(checked(right, n_bytes, 1), "b").select("a", "b", "set_a", "set_b")
-        return materialise(both.mapInArrow(run, "a bigint, b bigint"), "near-links")
+        links = materialise(both.mapInArrow(run, "a bigint, b bigint"), "near-links")
+        drop_tables(f"near-sets-{tag}")
+        return links
 
     found, pivots, before = checked_pairs(proposed), FIRST_PIVOTS, 1
     while before < largest:
