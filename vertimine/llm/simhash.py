@@ -42,6 +42,8 @@ TASK_ROWS = 1_000_000
 SHINGLE, SIMILAR, FIRST_PIVOTS = 5, (4, 5), 16
 #: Counters of shingles, by the leading bits of their hashes, and rows in which a task sends them.
 COUNTERS, SECTIONS, COUNTER_SHIFT = 1 << 20, 16, np.uint64(44)
+#: Odd multipliers: of the polynomial in a shingle's words, and of the two rounds that mix its bits.
+SPREAD = np.array([0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB], np.uint64)
 BYTE_BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1).astype(np.int64)
 
 
@@ -266,16 +268,22 @@ def bits_of(digests: np.ndarray) -> int:
     return int.from_bytes(np.packbits(ones.ravel() * 2 > len(digests)).tobytes(), "big")
 
 
-def shingles(text: str | None, shingle: int = SHINGLE, seed: int = 42) -> np.ndarray:
-    """The set of hashes of the text's shingles, ascending; a text of fewer words is one shingle, none is the empty set."""
+def shingles(text: str | None, shingle: int = SHINGLE) -> np.ndarray:
+    """The set of hashes of the text's shingles, ascending; a text of fewer words is one shingle, none is the empty set.
+
+    A shingle's hash is a polynomial in its words' hashes, with the bits mixed, so that each word is hashed once only."""
     words = text.encode("utf-8", "surrogatepass").lower().split() if text else []
     if not words:
         return np.zeros(0, np.uint64)
-    joined, h = b" ".join(words), xxhash.xxh64_digest
-    ends = [e - 1 for e in accumulate(len(w) + 1 for w in words)]
-    starts = [0, *[e + 1 for e in ends[:-1]]]
-    digests = b"".join([h(joined[s:e], seed) for s, e in zip(starts, ends[shingle - 1 :] or ends[-1:], strict=False)])
-    return np.unique(np.frombuffer(digests, np.uint64))
+    w = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
+    k = min(shingle, len(w))
+    h = np.full(len(w) - k + 1, k, np.uint64)
+    for i in range(k):
+        h = h * SPREAD[0] + w[i : len(w) - k + 1 + i]
+    for by, times in zip((30, 27), SPREAD[1:], strict=True):
+        h = (h ^ (h >> np.uint64(by))) * times
+    h = np.sort(h ^ (h >> np.uint64(31)))
+    return h[np.r_[True, h[1:] != h[:-1]]]
 
 
 def alike(a: np.ndarray, b: np.ndarray) -> bool:
@@ -312,7 +320,7 @@ def shingle_counts(texts: DataFrame, shingle: int) -> np.ndarray:
         total = np.zeros(COUNTERS, np.uint32)
         for b in slices(batches, 200):
             for t in b.column(0).to_pylist():
-                np.add.at(total, shingles(t, shingle) >> COUNTER_SHIFT, 1)
+                np.add.at(total, (shingles(t, shingle) >> COUNTER_SHIFT).astype(np.intp), np.uint32(1))
         yield pa.RecordBatch.from_arrays([pa.array(range(SECTIONS)), pa.array([x.tobytes() for x in np.split(total, SECTIONS)], pa.binary())], names=["section", "n"])
 
     def add(part: pa.Table) -> pa.Table:
