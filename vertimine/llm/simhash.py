@@ -40,6 +40,8 @@ FAN, CHUNK = 8, 100_000
 TASK_ROWS = 1_000_000
 #: Of keep_one: words of a shingle, least Jaccard similarity as a fraction, pivots of the first round.
 SHINGLE, SIMILAR, FIRST_PIVOTS = 5, (4, 5), 16
+#: Buckets in which a set's shingles are counted, rows of one key beyond which they are sent along, and first keys sent with each row.
+BUCKETS, WIDE, HEADS = 128, 4, 8
 #: Counters of shingles, by the leading bits of their hashes, and rows in which a task sends them.
 COUNTERS, SECTIONS, COUNTER_SHIFT = 1 << 20, 16, np.uint64(44)
 #: Odd multipliers: of the polynomial in a shingle's words, and of the two rounds that mix its bits.
@@ -162,6 +164,11 @@ def forest(n: int, pairs) -> np.ndarray:
     return parent
 
 
+def spans(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """start[0], start[0] + 1, ... of each run, one after another."""
+    return np.arange(size.sum()) - np.repeat(np.cumsum(size) - size - start, size)
+
+
 def gray_column(x, bits: int):
     """Gray rank of a column of numbers of so many bits."""
     s = 1
@@ -292,23 +299,30 @@ def alike(a: np.ndarray, b: np.ndarray) -> bool:
     return both * SIMILAR[1] >= (len(a) + len(b) - both) * SIMILAR[0]
 
 
+def bucket_counts(shingles_: np.ndarray) -> bytes:
+    """How many shingles of a set fall in each of BUCKETS, 255 at most. What two sets' counts differ by, summed up, is no more than the shingles
+    that only one of them has."""
+    return np.minimum(np.bincount((shingles_ % np.uint64(BUCKETS)).astype(np.intp), minlength=BUCKETS), 255).astype(np.uint8).tobytes()
+
+
 def node_of(shingles_: np.ndarray) -> int:
     """A hash of the set: equal sets are one node."""
     return xxhash.xxh64_intdigest(shingles_.tobytes(), 7)
 
 
 def shingle_sets(docs: DataFrame, shingle: int, id_col: str, text_col: str, more: list) -> DataFrame:
-    """doc_id, `more` columns, fp (the set's node), sim (its SimHash). The sets themselves, larger than the texts, are made anew where they are needed."""
+    """doc_id, `more` columns, fp (the set's node), sim (its SimHash), counts (bucket_counts). The sets themselves, larger than the texts, are made anew where they are needed."""
     source = docs.select(F.col(text_col).alias("_whole_text"), F.col(id_col).alias("doc_id"), *more)
     short_batches(docs.sparkSession)
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in source.schema[1:]) + ", fp bigint, sim bigint"
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in source.schema[1:]) + ", fp bigint, sim bigint, counts binary"
 
     def run(batches):
         for b in slices(batches, 200):
             found = [shingles(t, shingle) for t in b.column(0).to_pylist()]
             sim = np.array([bits_of(x) for x in found], np.uint64).view(np.int64)
             fp = np.array([node_of(x) for x in found], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(fp), pa.array(sim)], names=[*b.schema.names[1:], "fp", "sim"])
+            counts = pa.array([bucket_counts(x) for x in found], pa.binary())
+            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(fp), pa.array(sim), counts], names=[*b.schema.names[1:], "fp", "sim", "counts"])
 
     return source.mapInArrow(run, schema)
 
@@ -374,20 +388,45 @@ def first_shingles(texts: DataFrame, shingle: int) -> DataFrame:
     return texts.mapInArrow(first, "key bigint, fp bigint, n int, at int").repartition(parts, "key").mapInArrow(shared, "key bigint, fp bigint, n int, at int, m bigint")
 
 
+def with_marks(members: DataFrame, sets: DataFrame) -> DataFrame:
+    """The first shingles (on shared files) with heads (the first HEADS shared keys of the set, those before this one) and counts (the set's
+    bucket_counts, where more than WIDE sets have the key)."""
+    listed = F.slice(F.sort_array(F.collect_list(F.struct("at", "key"))), 1, HEADS)
+    marks = materialise(members.groupBy("fp").agg(listed.alias("heads")).join(sets.groupBy("fp").agg(F.first("counts").alias("counts")), "fp"), "near-marks")
+    joined = members.join(checked(marks, marks.count(), 12 * HEADS + BUCKETS + 32), "fp")
+    heads = F.transform(F.filter("heads", lambda h: h["at"] < F.col("at")), lambda h: h["key"])
+    return joined.select("key", "fp", "n", "at", "m", heads.alias("heads"), F.when(F.col("m") > WIDE, F.col("counts")).alias("counts"))
+
+
 def pivot_pairs(members: DataFrame, pivots: int) -> DataFrame:
-    """(a, b): of the sets with one key (columns key, fp, n, at, comp) the first `pivots` with each later one of another component.
+    """(a, b): of the sets with one key (columns key, fp, n, at, comp, heads, counts) the first `pivots` with each later one of another component.
 
     Two sets may be as alike as SIMILAR asks only if enough shingles come after the first one that they share: what stands at
-    most on the places from it on is compared with the overlap that their sizes call for."""
+    most on the places from it on is compared with the overlap that their sizes call for. Nor may their bucket counts, where there are any, differ by
+    more than their sizes allow. Two sets that share an earlier key too are left to that key: the first one they share has all such
+    pairs, and no key's pairs are left out of it."""
 
     def run(batches):
-        got = [[b.column(i).to_numpy() for i in range(5)] for b in batches if b.num_rows]
+        got, heads, counts = [], [], []
+        for b in batches:
+            if b.num_rows:
+                got.append([b.column(i).to_numpy() for i in range(5)])
+                width = np.diff(np.asarray(b.column(5).offsets))
+                own = np.repeat(got[-1][0][:, None], HEADS, 1)  # no earlier key is the row's own: filled up with it
+                own[np.repeat(np.arange(len(width)), width), spans(np.zeros(len(width), np.int64), width)] = b.column(5).flatten().to_numpy()
+                heads.append(own)
+                there = np.asarray(b.column(6).is_valid())
+                some = np.full(len(there), -1)
+                some[there] = np.arange(there.sum()) + sum(map(len, counts))
+                got[-1].append(some)
+                counts.append(np.frombuffer(b"".join(b.column(6).drop_null().to_pylist()), np.uint8).reshape(-1, BUCKETS))
         if not got:
             return
-        key, fp, n, at, comp = (np.concatenate(x) for x in zip(*got))
+        key, fp, n, at, comp, some = (np.concatenate(x) for x in zip(*got))
+        heads, counts = np.concatenate(heads), np.concatenate(counts)
         del got
         order = np.lexsort((fp * np.int64(-7046029254386353131), key))  # one order for all keys, so that they share pivots
-        key, fp, n, at, comp = key[order], fp[order], n[order].astype(np.int64), at[order], comp[order]
+        key, fp, n, at, comp, some, heads = key[order], fp[order], n[order].astype(np.int64), at[order], comp[order], some[order], heads[order]
         start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
         end, made, waiting = np.r_[start[1:], len(key)], [], 0
 
@@ -402,6 +441,12 @@ def pivot_pairs(members: DataFrame, pivots: int) -> DataFrame:
                 most = np.minimum(n[i] - at[i], n[i + 1 : e] - at[i + 1 : e])
                 enough = most * (SIMILAR[0] + SIMILAR[1]) >= (small + large) * SIMILAR[0]
                 j = i + 1 + np.flatnonzero((comp[i + 1 : e] != comp[i]) & (small * SIMILAR[1] >= large * SIMILAR[0]) & enough)
+                if len(j) and some[i] >= 0:
+                    differ = np.abs(counts[some[j]].astype(np.int16) - counts[some[i]]).sum(1, dtype=np.int64)
+                    j = j[differ * (SIMILAR[0] + SIMILAR[1]) <= (n[i] + n[j]) * (SIMILAR[1] - SIMILAR[0])]
+                earlier = heads[i][heads[i] != key[i]]
+                if len(j) and len(earlier):
+                    j = j[~(heads[j][:, :, None] == earlier).any((1, 2))]
                 if len(j):
                     made.append(np.stack([np.minimum(fp[i], fp[j]), np.maximum(fp[i], fp[j])], 1))
                     waiting += len(j)
@@ -412,7 +457,7 @@ def pivot_pairs(members: DataFrame, pivots: int) -> DataFrame:
             yield from flush()
 
     parts = int(members.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return members.select("key", "fp", "n", "at", "comp").repartition(parts, "key").mapInArrow(run, "a bigint, b bigint").distinct()
+    return members.select("key", "fp", "n", "at", "comp", "heads", "counts").repartition(parts, "key").mapInArrow(run, "a bigint, b bigint")
 
 
 def simhash_pairs(sets: DataFrame, distance: int) -> DataFrame:
@@ -428,11 +473,12 @@ def simhash_pairs(sets: DataFrame, distance: int) -> DataFrame:
 
 
 def similar_links(sets: DataFrame, texts: DataFrame, shingle: int = SHINGLE, distance: int = 2) -> DataFrame:
-    """Links (a, b) that connect all sets (fp, sim; on shared files) of the texts (one column) with a Jaccard similarity of SIMILAR at least."""
-    members = materialise(first_shingles(texts, shingle), "near-members")
+    """Links (a, b) that connect all sets (fp, sim, counts; on shared files) of the texts (one column) with a Jaccard similarity of SIMILAR at least."""
+    tag = uuid.uuid4().hex[:12]
+    members = materialise(with_marks(materialise(first_shingles(texts, shingle), f"near-first-{tag}"), sets), "near-members")
+    drop_tables(f"near-first-{tag}")
     largest = members.agg(F.max("m")).first()[0] or 0
     proposed = materialise(simhash_pairs(sets.select("fp", "sim"), distance), "near-proposed")
-    tag = uuid.uuid4().hex[:12]
     hashed = texts.withColumn("_text", F.xxhash64(F.coalesce(F.col(texts.columns[0]), F.lit("\x00"))))
 
     def again(batches):
@@ -467,7 +513,7 @@ def similar_links(sets: DataFrame, texts: DataFrame, shingle: int = SHINGLE, dis
         roots = materialise(components(found), "near-roots")
         some = members.where(F.col("m") > before)  # smaller groups have been compared whole
         some = some.join(roots.select(F.col("node").alias("fp"), "root"), "fp", "left").withColumn("comp", F.coalesce("root", "fp"))
-        found = found.unionAll(checked_pairs(materialise(pivot_pairs(some, pivots), "near-pairs")))
+        found = found.unionAll(checked_pairs(materialise(pivot_pairs(some, pivots).distinct(), "near-pairs")))
         before, pivots = pivots, pivots * 8
     return found
 
@@ -490,7 +536,7 @@ def keep_one(docs: DataFrame, shingle: int = SHINGLE, distance: int = 2, id_col:
     """Rows of docs, all columns, that stay: one text of each component, where all texts with a Jaccard similarity of SIMILAR at least are linked."""
     rows = materialise(shingle_sets(docs, shingle, id_col, text_col, keys_of(id_col, text_col)), "shingle-sets")
     texts = docs.select(F.col(text_col).alias("_whole_text"))
-    told = grouped(rows.drop("sim"), links=similar_links(rows, texts, shingle, distance)).select("_id", "_text", "doc_id", "component_id", "fp")
+    told = grouped(rows.drop("sim", "counts"), links=similar_links(rows, texts, shingle, distance)).select("_id", "_text", "doc_id", "component_id", "fp")
     return first_of_each(docs, told, id_col, text_col)
 
 
