@@ -7,7 +7,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from vertimine import measures, threshold
+from vertimine import catalogue, measures, threshold
 from vertimine.operators import bottomup, classes, encode, items, levelwise, pairs, partitioners, reference, rules, vertical
 from vertimine.plans import mine as plan
 from vertimine.sources import baskets as b
@@ -133,6 +133,19 @@ def test_baselines_agree(spark, sf):
             assert not part or own[part] >= n
 
 
+def test_sequential_mining_sends_no_transactions(spark, sf, monkeypatch):
+    """The driver gets bitmaps, not transactions; the itemsets are those of mining the transactions themselves."""
+    tx = b.user_day_types(spark, sf)
+    least, local, sent = threshold.resolve(tx.count(), "0.05"), {r["tid"]: r["items"] for r in b.to_arrays(tx.rows).collect()}, []
+    kind = type(tx.rows)
+    for name, size in (("collect", len), ("toArrow", lambda t: t.num_rows)):
+        monkeypatch.setattr(kind, name, lambda df, made=getattr(kind, name), size=size: sent.append(size(found := made(df))) or found)
+    assert catalogue.QUERIES["fi_sequential_user_day_types"](spark, sf) is not None
+    assert sum(sent) < len(local) // 4
+    assert reference.mine_sequential(tx.arrays(), least) == reference.mine_local(local, least)
+    assert reference.mine_sequential(tx.arrays(), 10**9) == {}
+
+
 def test_counting_by_join_equals_scan(spark, sf):
     tx = b.user_day_types(spark, sf)
     prep = plan.prepare(tx, plan.MiningConfig(), "0.01")
