@@ -8,7 +8,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from vertimine import catalogue, measures, threshold
-from vertimine.operators import bottomup, classes, encode, items, levelwise, pairs, partitioners, reference, rules, vertical
+from vertimine.operators import bottomup, chunks, classes, encode, items, levelwise, pairs, partitioners, reference, rules, vertical
 from vertimine.plans import mine as plan
 from vertimine.sources import baskets as b
 
@@ -146,6 +146,14 @@ def test_sequential_mining_sends_no_transactions(spark, sf, monkeypatch):
     assert reference.mine_sequential(tx.arrays(), 10**9) == {}
 
 
+def test_pairs_of_unstripped_lists_are_of_frequent_items_only(spark):
+    """Lists of many rare items cost no intersections; the frequent pairs are the same."""
+    rows = [([0, 1, 2 + n % 3, *range(10 + 400 * n, 410 + 400 * n)],) for n in range(60)]
+    encoded = spark.createDataFrame(rows, "ranks array<int>").repartition(2)
+    want = sorted(map(tuple, chunks.pair_supports(spark.createDataFrame([(x[0][:3],) for x in rows], "ranks array<int>"), 5, 15).collect()))
+    assert sorted(map(tuple, chunks.pair_supports(encoded, 24_010, 15, 5).collect())) == want and len(want) == 7
+
+
 def test_counting_by_join_equals_scan(spark, sf):
     tx = b.user_day_types(spark, sf)
     prep = plan.prepare(tx, plan.MiningConfig(), "0.01")
